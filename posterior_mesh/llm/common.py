@@ -58,6 +58,19 @@ def utf8(array: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return whole[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
+def sift(df: DataFrame, column: str, ids: DataFrame, log2: int = 23) -> DataFrame:
+    """The rows whose value may be among ``ids``, without a shuffle: a bitmap of hashes goes out, of 2**log2 bits whatever the input's size.
+
+    Some rows pass by chance, the more the fuller the bitmap; an exact join follows.
+    """
+    place = lambda c: F.pmod(F.xxhash64(c), F.lit(1 << log2))
+    marks = ids.select(place(ids.columns[0]).alias("p")).groupBy(F.shiftright("p", 15).alias("_bucket")).agg(F.bitmap_construct_agg(F.col("p") % 32768).alias("_bits"))
+    p = place(column) % 32768
+    byte = F.conv(F.hex(F.substring("_bits", (p / 8).cast("int") + 1, 1)), 16, 10).cast("int")
+    found = df.withColumn("_bucket", F.shiftright(place(column), 15)).join(F.broadcast(marks), "_bucket")
+    return found.where(F.floor(byte / F.pow(F.lit(2), p % 8)) % 2 == 1).select(df.columns)
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """A fixed 64-bit finaliser (shift, multiply), in place where it can."""
     x = x ^ (x >> np.uint64(32))
