@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from ..session import importable
 
 #: Texts handed to numpy at once; a longer single text still goes whole.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 1 << 20
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -73,7 +73,7 @@ def token_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY) -> DataFr
     """doc_id, piece, start, length, ids_crc32: each document's ids and the closing id, cut only where they exceed the capacity."""
 
     def run(batches):
-        for batch in slices(batches):
+        for batch in slices(batches, most=3 << 20):
             rows = []
             for doc, ids in zip(batch.column(0).to_pylist(), word_ids(path).ids(batch.column(1).to_pylist())):
                 ids += CLOSING

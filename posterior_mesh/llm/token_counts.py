@@ -206,7 +206,7 @@ def prefix_tables(docs: DataFrame, path: str, budget: int, store: bool = True) -
     """doc_id, n_bytes, n_tokens, prefix_chars (longest prefix within the budget), and with ``store`` the table itself."""
 
     def run(batches):
-        for batch in slices(batches):
+        for batch in slices(batches, most=3 << 20):
             texts, rows = batch.column(1).to_pylist(), []
             for text, changes in zip(texts, table(path).changes(texts)):
                 running = np.cumsum(np.frombuffer(changes, np.int8), dtype=np.int64)
