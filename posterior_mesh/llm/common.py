@@ -17,13 +17,24 @@ from ..session import importable
 SLICE_BYTES = 1 << 20
 
 
+#: Rows of texts that travel to Python at once.
+BATCH_ROWS = 2000
+
+
+def ready(spark: SparkSession) -> SparkSession:
+    """The session with this package importable and with batches of texts that fit a worker."""
+    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000")) > BATCH_ROWS:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+    return importable(spark)
+
+
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return importable(spark).read.parquet(f"{sf_dir}/{name}.parquet")
+    return ready(spark).read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def cut(df: DataFrame) -> DataFrame:
     """Cut the lineage into the shared folder that the session names; a temporary one only where it names none."""
-    spark = df.sparkSession
+    spark = ready(df.sparkSession)
     if not spark.sparkContext.getConf().get("spark.checkpoint.dir") and not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoints-"))
     return df.checkpoint(eager=True)
