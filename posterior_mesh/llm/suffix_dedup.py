@@ -264,7 +264,9 @@ def repeats_of_part(least: int):
                 hashes = np.unique(np.concatenate([window_hashes(np.frombuffer(c, np.uint8), least) for *_, c in rows]))
             for r in range(RANGES):
                 out.append((None, None, None, key[0], key[1], r, hashes[hashes >> np.uint64(60) == r].tobytes()))
-        return pd.DataFrame(out, columns=["digest", "first", "past", "h", "part", "r", "blob"]).astype({c: "Int64" for c in ("first", "past", "h", "part", "r")})
+        columns = zip(*out) if out else [()] * 7
+        kinds = (object, "Int64", "Int64", "Int64", "Int64", "Int64", object)  # never by way of floats
+        return pd.DataFrame({name: pd.array(list(c), kind) if kind != object else pd.Series(list(c), dtype=object) for name, c, kind in zip(("digest", "first", "past", "h", "part", "r", "blob"), columns, kinds)})
 
     return run
 

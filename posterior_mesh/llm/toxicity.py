@@ -51,13 +51,14 @@ class Folding(dict):
 
 FOLD = Folding()
 TO_LETTERS = str.maketrans(SUBSTITUTES)
+ONE_AS_L = TO_LETTERS | {ord("1"): "l"}
 #: A digit or sign stands for a letter only beside letters.
 INSIDE = re.compile(r"(?<=[a-z])[013457@$!|]+(?=[a-z])|(?<![a-z0-9@$!|])[013457@$]+(?=[a-z])|(?<=[a-z])[013457@$]+(?![a-z0-9])")
 
 
-def fold(text: str) -> str:
+def fold(text: str, letters: dict = TO_LETTERS) -> str:
     text = text.lower() if text.isascii() else text.translate(FOLD)
-    return INSIDE.sub(lambda m: m[0].translate(TO_LETTERS), text)
+    return INSIDE.sub(lambda m: m[0].translate(letters), text)
 
 
 def stems_of(text: str) -> set[str]:
@@ -115,8 +116,11 @@ class Matcher:
         self.automaton.make_automaton()
 
     def weigh(self, text: str) -> tuple[float, int]:
-        """Summed weights of the matches outside exception phrases, and how many words the text has."""
-        folded = fold(text)
+        """Summed weights of the matches outside exception phrases, and how many words the text has; 1 is read as i or as l."""
+        weight, words = self._weigh(fold(text))
+        return (max(weight, self._weigh(fold(text, ONE_AS_L))[0]) if "1" in text else weight), words
+
+    def _weigh(self, folded: str) -> tuple[float, int]:
         words = folded.count(" ") + folded.count("\n") + 1
         if self.empty:
             return 0.0, words
