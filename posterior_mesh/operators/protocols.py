@@ -117,6 +117,8 @@ class PosteriorMesh:
     """Lazy frames of one protocol: subposteriors, allocation, clock, draws, ready, global_draws."""
 
     def __init__(self, spark: SparkSession, spec: ProtocolSpec, subposteriors: DataFrame, t_max: float):
+        if spec.refresh != "query_time":
+            raise ValueError(f"refresh {spec.refresh} isn't built yet")
         self.spark, self.spec, self.subposteriors = spark, spec, subposteriors
         self.code = spec.code or (GradientCode(spec.k, spec.r) if spec.scheme == "coded_sum" else None)
         self.r = 1 if spec.scheme == "one_shot" else spec.r
