@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .operators import metrics, models
+from .operators.metropolis import logistic_draws
 from .operators.clock import trace_clock
 from .operators.protocols import PosteriorMesh, ProtocolSpec
 from .sources.tables import load
@@ -66,3 +67,58 @@ def coded_totals(spark: SparkSession, sf_dir: str, code, lost: set[int]) -> Data
     early = [w for w in range(1, code.k + 1) if w not in lost]
     patterns = spark.range(1).select(F.lit(1).alias("run"), F.lit(1).alias("round"), F.array(*[F.lit(w) for w in early]).alias("pattern"))
     return decode(messages, patterns, code, 3).select(F.col("phi")[0].alias("n"), F.col("phi")[1].alias("total"), F.col("phi")[2].alias("squares"))
+
+
+def crossover(spark: SparkSession, ks=(5, 10, 20, 40), r: int = 2, runs: int = 3, grid=(2.0, 5.0)) -> DataFrame:
+    """k, scheme, as_of, rounds: draws that each protocol can give by a time, as the number of workers grows; subtotals by k and over all."""
+    from .operators.clock import ParetoClock, batch_times, ready_rounds
+
+    law, times, each = ParetoClock(), [float(t) for t in grid], []
+    for k in ks:
+        for scheme in SCHEMES:
+            held = 1 if scheme == "one_shot" else r
+            clock = batch_times(spark, k, held, law.rounds_needed(max(times), held), runs, law)
+            each.append(ready_rounds(clock, scheme, k, held, times).select(F.lit(k).alias("k"), F.lit(scheme).alias("scheme"), "as_of", "rounds"))
+    return reduce(DataFrame.unionByName, each).rollup("k", "scheme", "as_of").agg(F.avg("rounds").alias("rounds"))
+
+
+def side_by_side(curves: DataFrame, value: str = "mean_err", by: tuple[str, ...] = ("as_of",)) -> DataFrame:
+    """A column for each protocol."""
+    return curves.groupBy(*by).pivot("scheme", list(SCHEMES)).agg(F.first(value))
+
+
+def event_rates(spark: SparkSession, sf_dir: str, shards: int = 5) -> DataFrame:
+    """Gamma subposteriors of the rate of the events' values."""
+    events = load(spark, sf_dir, "events").select("value", (F.pmod("user_id", F.lit(shards)) + 1).cast("int").alias("shard"))
+    return models.exponential_rate(events, F.col("value"), shards)
+
+
+def event_rate_errors(spark: SparkSession, sf_dir: str, k: int = 5, r: int = 2, grid=(1.0, 2.0, 5.0), runs: int = 2, ridge: float = 1e-12) -> DataFrame:
+    """The first two protocols on subposteriors that aren't Gaussian; the third one's start needs a warm-up of ten rounds."""
+    sub, times, each = event_rates(spark, sf_dir, k).persist(), [float(t) for t in grid], []
+    for scheme in SCHEMES:
+        spec = ProtocolSpec(scheme, k, r, d=1, runs=runs, ridge=ridge, warmup=10 if scheme == "coded_sum" else 0)
+        got = PosteriorMesh(spark, spec, sub, max(times)).global_draws(times)
+        each.append(metrics.rate_errors(got, sub).withColumn("scheme", F.lit(scheme)))
+    return reduce(DataFrame.unionByName, each)
+
+
+def returned_rows(spark: SparkSession, sf_dir: str, shards: int) -> DataFrame:
+    """shard, x, y of line items: a constant, quantity and discount; whether it was returned."""
+    x = F.array(F.lit(1.0), F.col("l_quantity") / 50, F.col("l_discount") * 10)
+    return load(spark, sf_dir, "lineitem").select((F.pmod("l_suppkey", F.lit(shards)) + 1).cast("int").alias("shard"), x.alias("x"), (F.col("l_returnflag") == "R").cast("double").alias("y"))
+
+
+def logistic_chain(spark: SparkSession, sf_dir: str, shards: int = 5, rounds: int = 100) -> DataFrame:
+    return logistic_draws(returned_rows(spark, sf_dir, shards), 3, shards, rounds)
+
+
+WORKLOADS = {
+    "W1": lambda s, d, **o: paper_curves(s, 5, 2, **o), "W2": lambda s, d, **o: paper_curves(s, 40, 2, **o), "W3": lambda s, d, **o: paper_curves(s, 40, 4, **o),
+    "W5": lambda s, d, **o: crossover(s, **o), "W7": linear_errors, "W9": event_rate_errors, "W11": lambda s, d, k=5: event_clock(s, d, k), "logistic": logistic_chain,
+}
+
+
+def run(spark: SparkSession, workload: str, sf_dir: str, **options) -> DataFrame:
+    """One of ``WORKLOADS`` by its name; ``options`` are those of its function."""
+    return WORKLOADS[workload](spark, sf_dir, **options)

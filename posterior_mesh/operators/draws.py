@@ -3,21 +3,25 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.linalg import cholesky, spd_inverse
-from ..functions.rng import normal_of
+from ..functions.rng import beta_of, gamma_of, normal_of
 
 
 def draws(sub: DataFrame, alloc: DataFrame, rounds: int, d: int, runs: int = 1, share: bool = False, seed: int = 42) -> DataFrame:
     """run, worker, shard, round, x. ``share``: holders of a shard draw alike, so each draw is made once and has worker 0.
 
-    Toeplitz subposteriors (a column rho) follow a recursion of one step; others take the Cholesky factor of
-    their covariance, worked out once for each shard.
+    Toeplitz subposteriors (a column rho) follow a recursion of one step; Gamma ones (shape, rate) and Beta ones
+    (alpha, beta) have one dimension; others take the Cholesky factor of their covariance, worked out once for each shard.
     """
     spark = sub.sparkSession
     toeplitz = "rho" in sub.columns
-    if not toeplitz:
+    gamma, beta = {"shape", "rate"} <= set(sub.columns), {"alpha", "beta"} <= set(sub.columns)
+    if (gamma or beta) and d != 1:
+        raise ValueError("Gamma and Beta subposteriors have one dimension")
+    if not (toeplitz or gamma or beta):
         # chol of the covariance and the mean, once a shard
         sub = sub.withColumn("_cov", spd_inverse("prec")).withColumn("_l", cholesky("_cov"))
         sub = sub.withColumn("_mean", F.array(*[sum((F.col("_cov")[i * d + j] * F.col("info")[j] for j in range(1, d)), F.col("_cov")[i * d] * F.col("info")[0]) for i in range(d)]))
@@ -25,6 +29,9 @@ def draws(sub: DataFrame, alloc: DataFrame, rounds: int, d: int, runs: int = 1,
     each = spark.range(1, runs + 1).selectExpr("CAST(id AS int) AS run").crossJoin(F.broadcast(holders))
     each = each.withColumn("round", F.explode(F.sequence(F.lit(1), F.lit(rounds)))).join(F.broadcast(sub), "shard")
     keys = ["run", "shard", "round"] if share else ["run", "worker", "shard", "round"]
+    if gamma or beta:
+        x = gamma_of(F.col("shape"), *keys, seed=seed) / F.col("rate") if gamma else beta_of(F.col("alpha"), F.col("beta"), *keys, seed=seed)
+        return each.select("run", "worker", "shard", "round", F.array(x).alias("x"))
     z = F.array(*[normal_of(*keys, i, seed=seed) for i in range(1, d + 1)])
     each = each.withColumn("_z", z)
     if toeplitz:
@@ -33,3 +40,10 @@ def draws(sub: DataFrame, alloc: DataFrame, rounds: int, d: int, runs: int = 1,
     else:
         x = F.array(*[F.col("_mean")[i] + sum((F.col("_l")[i * d + j] * F.col("_z")[j] for j in range(1, i + 1)), F.col("_l")[i * d] * F.col("_z")[0]) for i in range(d)])
     return each.select("run", "worker", "shard", "round", x.alias("x"))
+
+
+def share_draws(sub: DataFrame, rounds: int, runs: int = 1, seed: int = 42) -> DataFrame:
+    """run, shard, round, category, x: Dirichlet draws of ``category_shares``, as shares of Gamma draws of each category."""
+    each = sub.select("shard", "category", "alpha").withColumn("run", F.explode(F.sequence(F.lit(1), F.lit(runs)))).withColumn("round", F.explode(F.sequence(F.lit(1), F.lit(rounds))))
+    each = each.withColumn("g", gamma_of(F.col("alpha"), "run", "shard", "round", "category", seed=seed))
+    return each.select("run", "shard", "round", "category", (F.col("g") / F.sum("g").over(W.partitionBy("run", "shard", "round"))).alias("x"))

@@ -71,3 +71,27 @@ def utilisation(clock: DataFrame, scheme: str, k: int, r: int, t: float) -> Data
     if scheme != "coded_sum":
         return all_.withColumn("used", F.col("computed"))
     return all_.join(early(done, k, r).groupBy("run").agg(F.count("*").alias("used")), "run", "left")
+
+
+def rate_errors(globals_: DataFrame, sub: DataFrame) -> DataFrame:
+    """run, as_of, rounds, err: relative gap of the mean global draw of a Gamma posterior to its true mean."""
+    from .models import exact_rate
+
+    means = globals_.groupBy("run", "as_of").agg(F.count("*").alias("rounds"), F.avg(F.col("x")[0]).alias("m"))
+    truth = exact_rate(sub).select((F.col("shape") / F.col("rate")).alias("truth"))
+    return means.crossJoin(F.broadcast(truth)).select("run", "as_of", "rounds", F.try_divide(F.abs(F.col("m") - F.col("truth")), F.col("truth")).alias("err"))
+
+
+def curve_quantiles(errors: DataFrame, qs: tuple[float, ...] = (0.05, 0.5, 0.95), by: tuple[str, ...] = ("scheme",)) -> DataFrame:
+    """as_of and exact quantiles of the error over runs."""
+    names = [f"q{round(100 * q):02d}" for q in qs]
+    got = errors.groupBy(*by, "as_of").agg(F.percentile("err", F.array(*[F.lit(q) for q in qs])).alias("q"))
+    return got.select(*by, "as_of", *[F.col("q")[i].alias(n) for i, n in enumerate(names)])
+
+
+def idle_spans(clock: DataFrame, width: float) -> DataFrame:
+    """run, slot, worker, busy: time of each slot of ``width`` in which a worker computes a batch; each batch meets the slots that it overlaps."""
+    begun = F.col("done_at") - F.col("dt")
+    each = clock.withColumn("slot", F.explode(F.sequence(F.floor(begun / width), F.floor(F.col("done_at") / width))))
+    part = F.least(F.col("done_at"), (F.col("slot") + 1) * width) - F.greatest(begun, F.col("slot") * width)
+    return each.groupBy("run", "slot", "worker").agg(F.sum(F.greatest(part, F.lit(0.0))).alias("busy"))

@@ -55,3 +55,13 @@ def exact_global(sub: DataFrame, d: int) -> DataFrame:
     """prec, cov, mean of the product of Gaussian subposteriors: parameters add up, one small solve follows."""
     total = sub.agg(vector_sum(F.col("prec"), d * d).alias("prec"), vector_sum(F.col("info"), d).alias("info"))
     return total.withColumn("cov", spd_inverse("prec")).select("prec", "cov", matvec(F.col("cov"), F.col("info"), d).alias("mean"))
+
+
+def exact_rate(sub: DataFrame) -> DataFrame:
+    """shape, rate of the product of Gamma subposteriors: what each shape has over 1 adds up, and so do the rates."""
+    return sub.agg((1 + F.sum(F.col("shape") - 1)).alias("shape"), F.sum("rate").alias("rate"))
+
+
+def exact_share(sub: DataFrame) -> DataFrame:
+    """alpha, beta of the product of Beta subposteriors."""
+    return sub.agg((1 + F.sum(F.col("alpha") - 1)).alias("alpha"), (1 + F.sum(F.col("beta") - 1)).alias("beta"))

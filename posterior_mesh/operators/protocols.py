@@ -9,7 +9,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.linalg import covariance, matvec, outer, spd_inverse, spd_solve, vector_sum
-from .clock import ParetoClock, arrival_patterns, batch_times, group_of, group_sequence, ready_rounds
+from .clock import ParetoClock, arrival_patterns, batch_times, group_sequence, ready_at, ready_rounds
 from .coding import GradientCode, decode, encode
 from .draws import draws
 from .layout import allocation
@@ -62,6 +62,21 @@ def shard_moments(came: DataFrame, grid: list[float], d: int) -> DataFrame:
     return each.groupBy("run", F.col("g.as_of").alias("as_of"), "shard").agg(F.sum("n").alias("n"), vector_sum(F.col("s1"), d).alias("s1"), vector_sum(F.col("s2"), d * d).alias("s2"))
 
 
+def last_round_times(ready: DataFrame, at: DataFrame) -> DataFrame:
+    """run, times (moments of the last global draw before each time of the grid, in order, with that time)."""
+    each = ready.join(at, (ready["run"] == at["run"]) & (ready["rounds"] == at["round"])).select(ready["run"], F.struct("ready_at", "as_of").alias("t"))
+    return each.groupBy("run").agg(F.sort_array(F.collect_list("t")).alias("times"))
+
+
+def moments_at(came: DataFrame, times: DataFrame, d: int) -> DataFrame:
+    """As ``shard_moments``, of draws that came by each run's own times: a run's times are few, so they are sent along."""
+    late = F.size(F.filter("times", lambda t: t["ready_at"] < F.col("done_at")))
+    part = came.join(F.broadcast(times), "run").withColumn("b", late).where(F.col("b") < F.size("times"))
+    sums = part.groupBy("run", "shard", "b").agg(F.count("*").alias("n"), vector_sum(F.col("x"), d).alias("s1"), vector_sum(outer(F.col("x"), d), d * d).alias("s2"))
+    each = sums.join(F.broadcast(times), "run").select("run", "shard", "b", "n", "s1", "s2", F.posexplode("times").alias("p", "t")).where("b <= p")
+    return each.groupBy("run", F.col("t.as_of").alias("as_of"), "shard").agg(F.sum("n").alias("n"), vector_sum(F.col("s1"), d).alias("s1"), vector_sum(F.col("s2"), d * d).alias("s2"))
+
+
 def shard_precisions(moments: DataFrame, spec: ProtocolSpec, sub: DataFrame) -> DataFrame:
     """run, as_of, shard, p: what a shard's draws are multiplied by."""
     d = spec.d
@@ -117,8 +132,8 @@ class PosteriorMesh:
     """Lazy frames of one protocol: subposteriors, allocation, clock, draws, ready, global_draws."""
 
     def __init__(self, spark: SparkSession, spec: ProtocolSpec, subposteriors: DataFrame, t_max: float):
-        if spec.refresh != "query_time":
-            raise ValueError(f"refresh {spec.refresh} isn't built yet")
+        if spec.refresh not in ("query_time", "last_round"):
+            raise ValueError(f"no such refresh: {spec.refresh}")
         self.spark, self.spec, self.subposteriors = spark, spec, subposteriors
         self.code = spec.code or (GradientCode(spec.k, spec.r) if spec.scheme == "coded_sum" else None)
         self.r = 1 if spec.scheme == "one_shot" else spec.r
@@ -145,4 +160,9 @@ class PosteriorMesh:
         if self.spec.scheme == "coded_sum":
             return coded_draws(self.decoded(audit), ready, self.spec)
         came = arrivals(self.draws, self.clock, self.spec)
-        return combined(came, shard_precisions(shard_moments(came, grid, self.spec.d), self.spec, self.subposteriors), ready, self.spec)
+        if self.spec.refresh == "last_round":
+            at = ready_at(self.clock, self.spec.scheme, self.spec.k, self.r)
+            moments = moments_at(came, last_round_times(ready.where("rounds > 0"), at), self.spec.d)
+        else:
+            moments = shard_moments(came, grid, self.spec.d)
+        return combined(came, shard_precisions(moments, self.spec, self.subposteriors), ready, self.spec)

@@ -8,11 +8,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import experiments as ex
-from .functions.rng import normal_of, normal_sql, uniform_of, uniform_sql
+from .functions.rng import gamma_of, gamma_sql, normal_of, normal_sql, uniform_of, uniform_sql
 from .operators import metrics, models
 from .operators.clock import arrival_patterns, batch_times, group_sequence, ready_at, ready_rounds, straggler_profile, worker_rounds
 from .operators.coding import PINNED_5_2, GradientCode
-from .operators.draws import draws
+from .operators.draws import draws, share_draws
 from .operators.layout import allocation, assign_shards, worker_storage
 from .operators.protocols import PosteriorMesh, ProtocolSpec, arrivals, shard_moments
 from .sources.tables import load
@@ -182,3 +182,52 @@ def gap_query(s: SparkSession, d: str) -> DataFrame:
 
 
 QUERIES["precision_gap"] = gap_query
+
+# draws of subposteriors that aren't Gaussian
+query("gamma_draws", f"SELECT CAST(range AS INTEGER) AS shard, round({gamma_sql('(1 + range)', 'range')}, 6) AS g FROM range(0, 500)")(
+    lambda s, d: s.range(500).select(F.col("id").cast("int").alias("shard"), F.round(gamma_of(1 + F.col("id"), "id"), 6).alias("g")))
+query("rate_draws", f"""WITH p AS (SELECT CAST(user_id % 5 + 1 AS INTEGER) AS shard, count(*) + 1 AS shape, round(sum(value) + 0.2, 4) AS rate FROM events GROUP BY 1), b AS (SELECT *, CAST(range AS INTEGER) AS round FROM p, range(1, 21))
+  SELECT shard, round, round({gamma_sql('shape', '1', 'shard', 'shard', 'round')} / rate, 8) AS x FROM b""")(
+    lambda s, d: draws(ex.event_rates(s, d).withColumn("rate", F.round("rate", 4)), allocation(s, "one_shot", 5), 20, 1).select("shard", "round", F.round(F.col("x")[0], 8).alias("x")))
+query("language_share_draws", f"""WITH p AS (SELECT CAST(doc_id % 5 + 1 AS INTEGER) AS shard, lang AS category, 1 + count(*) AS alpha FROM documents GROUP BY 1, 2), g AS (SELECT shard, category, CAST(range AS INTEGER) AS round, {gamma_sql('alpha', '1', 'shard', 'range', 'category')} AS g FROM p, range(1, 11))
+  SELECT shard, round, category, round(g / sum(g) OVER (PARTITION BY shard, round), 8) AS x FROM g""")(
+    lambda s, d: share_draws(models.category_shares(load(s, d, "documents").select("lang", (F.pmod("doc_id", F.lit(5)) + 1).cast("int").alias("shard")), F.col("lang"), 5), 10).select("shard", "round", "category", F.round("x", 8).alias("x")))
+QUERIES["event_rate_errors"] = lambda s, d: rounded(ex.event_rate_errors(s, d), 6)
+QUERIES["logistic_draws"] = lambda s, d: ex.logistic_chain(s, d).select("shard", "round", F.transform("x", lambda v: F.round(v, 6)).alias("x"), "accepted")
+QUERIES["errors_last_round"] = lambda s, d: rounded(ex.paper_errors(s, 5, 2, runs=2, grid=(2.0, 5.0), schemes=("one_shot", "replica_group"), refresh="last_round"))
+QUERIES["error_quantiles_5_2"] = lambda s, d: rounded(metrics.curve_quantiles(ex.paper_errors(s, 5, 2, runs=3, grid=(2.0, 5.0))))
+QUERIES["curves_side_by_side_5_2"] = lambda s, d: rounded(ex.side_by_side(ex.paper_curves(s, 5, 2, runs=2, grid=(2.0, 5.0))))
+
+
+def crossover_sql() -> str:
+    parts = []
+    for k in (5, 10, 20, 40):
+        for scheme in ex.SCHEMES:
+            r = 1 if scheme == "one_shot" else 2
+            rule = {"one_shot": "min(n)", "coded_sum": f"list_sort(list(n))[{r}]"}.get(scheme)
+            each = f"SELECT run, as_of, {rule} AS rounds FROM w GROUP BY ALL" if rule else f"SELECT run, as_of, min(n) AS rounds FROM (SELECT run, as_of, (worker - 1) // {r} AS g, sum(n) AS n FROM w GROUP BY ALL) GROUP BY ALL"
+            parts.append(f"SELECT {k} AS k, '{scheme}' AS scheme, as_of, rounds FROM (WITH {clock_sql(k, r, 300 if r == 1 else 150, 3)}, g AS (SELECT unnest([2.0, 5.0]) AS as_of), w AS (SELECT run, worker, as_of, count(*) FILTER (done_at <= as_of) AS n FROM clock, g GROUP BY ALL) {each})")
+    return f"SELECT CAST(k AS INTEGER) AS k, scheme, CAST(as_of AS DOUBLE) AS as_of, round(avg(rounds), 6) AS rounds FROM ({' UNION ALL '.join(parts)}) GROUP BY ROLLUP (k, scheme, as_of)"
+
+
+query("crossover", crossover_sql())(lambda s, d: rounded(ex.crossover(s)))
+query("idle_spans", f"WITH {clock_sql(5, 2, 60)}, b AS (SELECT *, done_at - dt AS begun FROM clock), e AS (SELECT *, unnest(range(CAST(floor(begun) AS BIGINT), CAST(floor(done_at) AS BIGINT) + 1)) AS slot FROM b) SELECT run, slot, worker, round(sum(greatest(least(done_at, slot + 1) - greatest(begun, slot), 0)), 6) AS busy FROM e GROUP BY ALL")(
+    lambda s, d: rounded(metrics.idle_spans(batch_times(s, 5, 2, 60), 1.0)))
+
+
+def cluster_query(s: SparkSession, d: str) -> DataFrame:
+    from .sources.virtual_cluster import register
+
+    register(s)
+    return rounded(s.read.format("virtual_cluster").option("workers", 5).option("redundancy", 2).option("rounds", 100).load())
+
+
+def trace_query(s: SparkSession, d: str) -> DataFrame:
+    from .functions.sql import register
+
+    register(s)
+    return rounded(s.sql("SELECT * FROM latency_trace(5, 2, 0.1D, 1.2D, 100, 42)"))
+
+
+query("virtual_cluster", f"WITH {clock_sql(5, 2, 100)} SELECT run, worker, round, round(dt, 6) AS dt, round(done_at, 6) AS done_at FROM clock")(cluster_query)
+query("latency_trace", f"WITH {clock_sql(5, 2, 100)} SELECT worker, round, round(dt, 6) AS dt, round(done_at, 6) AS done_at FROM clock")(trace_query)
