@@ -34,17 +34,24 @@ TRIES = 8
 
 
 def gamma_of(shape: Column, *keys: Column | str | int, seed: int = 42) -> Column:
-    """Gamma of scale 1 and a shape of 1 or more, by squeezing a cubed normal; each try has keys of its own."""
+    """Gamma of scale 1 and a shape of 1 or more, by squeezing a cubed normal; each try has keys of its own.
+
+    Tries are a fold that stops to compute once one fits, so that the expression holds the code of a single try.
+    """
     d = shape - 1 / 3
-    out = None
-    for k in range(1, TRIES + 1):
-        z = normal_of(*keys, F.lit(f"g{k}"), seed=seed)
-        root = 1 + z / F.sqrt(9 * d)
+
+    def fitting(t: Column) -> Column:
+        root = 1 + t["z"] / F.sqrt(9 * d)
         v = root * root * root
-        u = uniform_of(F.lit("c"), *keys, F.lit(f"g{k}"), seed=seed)
-        fits = (root > 0) & (F.ln(u) < z * z / 2 + d - d * v + d * F.ln(F.greatest(v, F.lit(1e-300))))
-        out = F.when(fits, d * v) if out is None else out.when(fits, d * v)
-    return out.otherwise(d)
+        return F.when((root > 0) & (F.ln(t["u"]) < t["z"] * t["z"] / 2 + d - d * v + d * F.ln(F.greatest(v, F.lit(1e-300)))), d * v)
+
+    def tried(k: Column) -> Column:
+        name = F.concat(F.lit("g"), k.cast("string"))
+        drawn = F.struct(normal_of(*keys, name, seed=seed).alias("z"), uniform_of(F.lit("c"), *keys, name, seed=seed).alias("u"))
+        return F.element_at(F.transform(F.array(drawn), fitting), 1)
+
+    first = F.sequence(F.lit(1), F.lit(TRIES))
+    return F.coalesce(F.aggregate(first, F.lit(None).cast("double"), lambda got, k: F.coalesce(got, tried(k))), d)
 
 
 def beta_of(a: Column, b: Column, *keys: Column | str | int, seed: int = 42) -> Column:

@@ -207,7 +207,7 @@ def crossover_sql() -> str:
             rule = {"one_shot": "min(n)", "coded_sum": f"list_sort(list(n))[{r}]"}.get(scheme)
             each = f"SELECT run, as_of, {rule} AS rounds FROM w GROUP BY ALL" if rule else f"SELECT run, as_of, min(n) AS rounds FROM (SELECT run, as_of, (worker - 1) // {r} AS g, sum(n) AS n FROM w GROUP BY ALL) GROUP BY ALL"
             parts.append(f"SELECT {k} AS k, '{scheme}' AS scheme, as_of, rounds FROM (WITH {clock_sql(k, r, 300 if r == 1 else 150, 3)}, g AS (SELECT unnest([2.0, 5.0]) AS as_of), w AS (SELECT run, worker, as_of, count(*) FILTER (done_at <= as_of) AS n FROM clock, g GROUP BY ALL) {each})")
-    return f"SELECT CAST(k AS INTEGER) AS k, scheme, CAST(as_of AS DOUBLE) AS as_of, round(avg(rounds), 6) AS rounds FROM ({' UNION ALL '.join(parts)}) GROUP BY ROLLUP (k, scheme, as_of)"
+    return f"SELECT CAST(coalesce(k, 0) AS INTEGER) AS k, coalesce(scheme, 'all') AS scheme, CAST(coalesce(as_of, 0) AS DOUBLE) AS as_of, round(avg(rounds), 6) AS rounds FROM ({' UNION ALL '.join(parts)}) GROUP BY ROLLUP (k, scheme, as_of)"
 
 
 query("crossover", crossover_sql())(lambda s, d: rounded(ex.crossover(s)))
