@@ -5,6 +5,7 @@ import re
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from posterior_mesh.llm import chat_format, decontaminate, language_id, media_columns, ngram_join, packing, suffix_dedup, token_counts, toxicity
@@ -107,6 +108,14 @@ def test_links_against_all_pairs(spark, options):
     assert [(r["n_shingles"], r["component_id"]) for r in got] == brute_components(texts, 4, 85)
 
 
+@pytest.mark.parametrize("n", [1, 2, 3, 4])
+def test_sets_of_a_slice_with_few_words(spark, n):
+    text = " ".join("abcd"[:n])
+    rows = ngram_join.similarity_components(docs_of(spark, [text]), 4, 85).collect()
+    assert [(r["n_shingles"], r["component_id"]) for r in rows] == [(1, 0)]
+    assert [len(s) for s in ngram_join.shingle_sets(pa.array([text]), 5)] == [1]
+
+
 def brute_removed(texts, least):
     seen = Counter(b[i : i + least] for b in texts for i in range(len(b) - least + 1))
     out = []
