@@ -17,9 +17,9 @@ def main() -> None:
     spark = SparkSession.builder.master(f"local[{cpus}]").config("spark.sql.shuffle.partitions", cpus).config("spark.driver.memory", "8g").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").config("spark.sql.session.timeZone", "UTC").getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
     headline = {
-        "curve_5_2": lambda: ex.paper_curves(spark, 5, 2, runs=50, grid=(1.0, 2.0, 5.0, 10.0)),
-        "curve_40_2": lambda: ex.paper_curves(spark, 40, 2, runs=5, grid=(1.0, 2.0, 5.0)),
-        "curve_40_4": lambda: ex.paper_curves(spark, 40, 4, runs=5, grid=(1.0, 2.0, 5.0)),
+        "curve_5_2": lambda: ex.paper_curves(spark, 5, 2, runs=ex.RUNS, grid=ex.GRID),
+        "curve_40_2": lambda: ex.paper_curves(spark, 40, 2, runs=ex.RUNS, grid=ex.GRID),
+        "curve_40_4": lambda: ex.paper_curves(spark, 40, 4, runs=ex.RUNS, grid=ex.GRID),
         **{name: (lambda f=QUERIES[name]: f(spark, sf_dir)) for name in ("linear_subposteriors", "linear_errors", "shard_sizes_exact", "worker_storage", "event_rates", "events_ready_coded_sum_40_4", "coded_order_totals_cyclic_40_4")},
     }
     times = {}

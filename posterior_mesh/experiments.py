@@ -14,6 +14,8 @@ from .operators.protocols import PosteriorMesh, ProtocolSpec
 from .sources.tables import load
 
 SCHEMES = ("one_shot", "replica_group", "coded_sum")
+#: Runs of an experiment, and its times up to the horizon.
+RUNS, GRID = 50, (1.0, 2.0, 5.0, 10.0, 20.0, 50.0, 100.0)
 
 
 def errors_of(spark: SparkSession, spec: ProtocolSpec, sub: DataFrame, grid: list[float]) -> DataFrame:

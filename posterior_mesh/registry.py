@@ -46,10 +46,11 @@ def cells(df: DataFrame, column: str, d: int, *keys: str) -> DataFrame:
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The smoke run of ``entry``: one run, early times; the query ``linear_errors`` has all runs and times."""
     return rounded(ex.linear_errors(spark, sf_dir, grid=(1.0, 2.0, 5.0)))
 
 
-QUERIES["linear_errors"] = flagship
+QUERIES["linear_errors"] = lambda s, d: rounded(ex.linear_errors(s, d, runs=ex.RUNS, grid=ex.GRID))
 
 # layout
 query("shard_sizes_column", "SELECT CAST(l_suppkey % 5 + 1 AS INTEGER) AS shard, count(*) AS n FROM lineitem GROUP BY 1")(
@@ -167,12 +168,12 @@ query("shard_moments", f"""WITH {clock_sql(5, 1, 120)}, x AS (SELECT worker, don
 
 # the two experiments, variants and ablations: no SQL, tested against a reference in numpy
 for _k, _r in ((5, 2), (40, 2), (40, 4)):
-    QUERIES[f"paper_errors_{_k}_{_r}"] = lambda s, d, k=_k, r=_r: rounded(ex.paper_errors(s, k, r, runs=3, grid=(1.0, 2.0, 5.0)))
-    QUERIES[f"paper_curve_{_k}_{_r}"] = lambda s, d, k=_k, r=_r: rounded(ex.paper_curves(s, k, r, runs=3, grid=(2.0, 5.0)))
+    QUERIES[f"paper_errors_{_k}_{_r}"] = lambda s, d, k=_k, r=_r: rounded(ex.paper_errors(s, k, r, runs=ex.RUNS, grid=ex.GRID))
+    QUERIES[f"paper_curve_{_k}_{_r}"] = lambda s, d, k=_k, r=_r: rounded(ex.paper_curves(s, k, r, runs=ex.RUNS, grid=ex.GRID))
 for _weights in ("exact", "uniform", "diagonal"):
-    QUERIES[f"errors_weights_{_weights}"] = lambda s, d, w=_weights: rounded(ex.paper_errors(s, 5, 2, runs=2, grid=(2.0, 5.0), schemes=("one_shot", "replica_group"), weights=w))
-QUERIES["errors_coded_warmup"] = lambda s, d: rounded(ex.paper_errors(s, 5, 2, runs=2, grid=(5.0, 10.0), schemes=("coded_sum",), warmup=10))
-QUERIES["errors_coded_recompute"] = lambda s, d: rounded(ex.paper_errors(s, 5, 2, runs=2, grid=(5.0, 10.0), schemes=("coded_sum",), warmup=10, recompute=True))
+    QUERIES[f"errors_weights_{_weights}"] = lambda s, d, w=_weights: rounded(ex.paper_errors(s, 5, 2, runs=ex.RUNS, grid=ex.GRID, schemes=("one_shot", "replica_group"), weights=w))
+QUERIES["errors_coded_warmup"] = lambda s, d: rounded(ex.paper_errors(s, 5, 2, runs=ex.RUNS, grid=ex.GRID, schemes=("coded_sum",), warmup=10))
+QUERIES["errors_coded_recompute"] = lambda s, d: rounded(ex.paper_errors(s, 5, 2, runs=ex.RUNS, grid=ex.GRID, schemes=("coded_sum",), warmup=10, recompute=True))
 
 
 def gap_query(s: SparkSession, d: str) -> DataFrame:
@@ -194,9 +195,9 @@ query("language_share_draws", f"""WITH p AS (SELECT CAST(doc_id % 5 + 1 AS INTEG
     lambda s, d: share_draws(models.category_shares(load(s, d, "documents").select("lang", (F.pmod("doc_id", F.lit(5)) + 1).cast("int").alias("shard")), F.col("lang"), 5), 10).select("shard", "round", "category", F.round("x", 8).alias("x")))
 QUERIES["event_rate_errors"] = lambda s, d: rounded(ex.event_rate_errors(s, d), 6)
 QUERIES["logistic_draws"] = lambda s, d: ex.logistic_chain(s, d).select("shard", "round", F.transform("x", lambda v: F.round(v, 6)).alias("x"), "accepted")
-QUERIES["errors_last_round"] = lambda s, d: rounded(ex.paper_errors(s, 5, 2, runs=2, grid=(2.0, 5.0), schemes=("one_shot", "replica_group"), refresh="last_round"))
-QUERIES["error_quantiles_5_2"] = lambda s, d: rounded(metrics.curve_quantiles(ex.paper_errors(s, 5, 2, runs=3, grid=(2.0, 5.0))))
-QUERIES["curves_side_by_side_5_2"] = lambda s, d: rounded(ex.side_by_side(ex.paper_curves(s, 5, 2, runs=2, grid=(2.0, 5.0))))
+QUERIES["errors_last_round"] = lambda s, d: rounded(ex.paper_errors(s, 5, 2, runs=ex.RUNS, grid=ex.GRID, schemes=("one_shot", "replica_group"), refresh="last_round"))
+QUERIES["error_quantiles_5_2"] = lambda s, d: rounded(metrics.curve_quantiles(ex.paper_errors(s, 5, 2, runs=ex.RUNS, grid=ex.GRID)))
+QUERIES["curves_side_by_side_5_2"] = lambda s, d: rounded(ex.side_by_side(ex.paper_curves(s, 5, 2, runs=ex.RUNS, grid=ex.GRID)))
 
 
 def crossover_sql() -> str:
@@ -211,6 +212,7 @@ def crossover_sql() -> str:
 
 
 query("crossover", crossover_sql())(lambda s, d: rounded(ex.crossover(s)))
+QUERIES["crossover_whole"] = lambda s, d: rounded(ex.crossover(s, runs=ex.RUNS, grid=ex.GRID))  # the SQL above is of three runs and two times
 query("idle_spans", f"WITH {clock_sql(5, 2, 60)}, b AS (SELECT *, done_at - dt AS begun FROM clock), e AS (SELECT *, unnest(range(CAST(floor(begun) AS BIGINT), CAST(floor(done_at) AS BIGINT) + 1)) AS slot FROM b) SELECT run, slot, worker, round(sum(greatest(least(done_at, slot + 1) - greatest(begun, slot), 0)), 6) AS busy FROM e GROUP BY ALL")(
     lambda s, d: rounded(metrics.idle_spans(batch_times(s, 5, 2, 60), 1.0)))
 
