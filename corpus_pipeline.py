@@ -8,7 +8,7 @@ from posterior_mesh.llm.common import cut, load
 from posterior_mesh.llm.decontaminate import decontaminate
 from posterior_mesh.llm.ngram_join import one_of_each
 from posterior_mesh.llm.packing import pack_documents
-from posterior_mesh.llm.suffix_dedup import without_repeats
+from posterior_mesh.llm.suffix_dedup import PASSAGE, without_repeats
 from posterior_mesh.llm.toxicity import without_toxic
 
 
@@ -23,8 +23,8 @@ def ngram_jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def suffix_array_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Strings of 400 bytes that stand anywhere else too are cut out of the texts."""
-    return without_repeats(docs)
+    """Passages of over 50 words and strings of 400 bytes that stand anywhere else too are cut out of the texts."""
+    return without_repeats(docs, words=PASSAGE)
 
 
 def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -10,7 +10,8 @@ these don't find among their own is compared across them by hashes of windows.
 
 Defined cases: null is empty; texts under ``LEAST`` bytes lose nothing; equal texts of that length lose
 everything; strings are judged on the input alone; repeated rows are texts of their own and so repeat each
-other; no rows give none.
+other; no rows give none. With a limit in words, a repeat counts the words that lie in it whole; words are
+set apart by ASCII white space, as in the join of sets.
 """
 
 from __future__ import annotations
@@ -30,6 +31,11 @@ LEAST, GRAM = 400, 32
 ARRAY_BYTES, PART = 2 << 20, 2000
 #: Ranges that the hashes of an anchor in several parts are dealt into.
 RANGES = 16
+#: Words of the shortest passage that the pipeline's stage cuts out, besides strings of LEAST bytes: over 50.
+PASSAGE = 51
+
+SPACE = np.zeros(256, bool)
+SPACE[[32, 9, 10, 11, 12, 13]] = True
 
 COEFFICIENTS = mix(np.arange(1, 129, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
 
@@ -50,6 +56,24 @@ def sliding(values: np.ndarray, width: int, what) -> np.ndarray:
     return what(after[: n - width + 1], before[width - 1 : n])
 
 
+def thinned(place: np.ndarray, small: np.ndarray, text: np.ndarray, width: int) -> np.ndarray:
+    """Runs of equal hashes, in texts that repeat themselves at short distance, need few of their places."""
+    if len(place) > 2:
+        same = (small[place[1:]] == small[place[:-1]]) & (text[1:] == text[:-1]) & (np.diff(place) < width)
+        border = np.flatnonzero(np.diff(np.concatenate(([0], same, [0])).astype(np.int8)))
+        keep = np.ones(len(place), bool)
+        for a, b in border.reshape(-1, 2).tolist():
+            if b - a > 1:
+                last = place[a]
+                for k in range(a + 1, b):
+                    if place[k + 1] - last <= width:
+                        keep[k] = False
+                    else:
+                        last = place[k]
+        place = place[keep]
+    return place
+
+
 def anchors(data: np.ndarray, offsets: np.ndarray, least: int, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray]:
     """Places of anchors in the joined texts, in order, and their hashes: every ``least`` bytes of a text hold one."""
     n, width = len(data), least - gram + 1
@@ -66,25 +90,76 @@ def anchors(data: np.ndarray, offsets: np.ndarray, least: int, gram: int = GRAM)
         lowest[max(0, end - least + 1) : end] = 0
     padded = np.concatenate((np.zeros(width - 1, np.uint32), lowest, np.zeros(width - 1, np.uint32)))
     place = np.flatnonzero(sliding(padded, width, np.maximum) == small)
-    if len(place) > 2:  # runs of equal hashes, in texts that repeat themselves at short distance, need few of them
-        text = np.searchsorted(offsets, place, "right")
-        same = (small[place[1:]] == small[place[:-1]]) & (text[1:] == text[:-1]) & (np.diff(place) < width)
-        border = np.flatnonzero(np.diff(np.concatenate(([0], same, [0])).astype(np.int8)))
-        keep = np.ones(len(place), bool)
-        for a, b in border.reshape(-1, 2).tolist():
-            if b - a > 1:
-                last = place[a]
-                for k in range(a + 1, b):
-                    if place[k + 1] - last <= width:
-                        keep[k] = False
-                    else:
-                        last = place[k]
-        place = place[keep]
+    place = thinned(place, small, np.searchsorted(offsets, place, "right"), width)
     return place, hashes[place]
 
 
-def anchor_table(docs: DataFrame, least: int) -> DataFrame:
-    """digest, n, copies, and of each different text the hashes of anchors, hashes of their contexts and places."""
+def words_in(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Where the words of the joined texts begin and end."""
+    inside = ~SPACE[data]
+    begins = inside.copy()
+    begins[1:] &= ~inside[:-1]
+    heads = offsets[:-1][offsets[:-1] < len(data)]
+    begins[heads] |= inside[heads]
+    ends = inside.copy()
+    ends[:-1] &= ~inside[1:] | begins[1:]
+    return np.flatnonzero(begins), np.flatnonzero(ends) + 1
+
+
+def word_anchors(data: np.ndarray, offsets: np.ndarray, words: int, gram: int = GRAM) -> tuple[np.ndarray, ...]:
+    """Hashes of anchors, their texts, and where the contexts of so many words around them begin and end.
+
+    Anchors stand where words begin; every run of ``words`` words holds one, with all the bytes that are hashed:
+    m words have 2 m - 1 bytes at least.
+    """
+    begins, ends = words_in(data, offsets)
+    n, width = len(begins), words - (gram + 2) // 2 + 1
+    if width < 1:
+        raise ValueError(f"{words} words may be shorter than what is hashed")
+    if n < words:
+        return np.zeros(0, np.uint64), *(np.zeros(0, np.int64) for _ in range(3))
+    text = np.searchsorted(offsets, begins, "right") - 1
+    at = words_at(np.concatenate((data, np.zeros(gram + 8, np.uint8))))
+    hashes = np.zeros(n, np.uint64)
+    for k in range(0, gram, 8):
+        hashes += at[begins + k] * COEFFICIENTS[k]
+    hashes = mix(hashes)
+    small = (hashes >> np.uint64(32)).astype(np.uint32) | np.uint32(1)
+    lowest = sliding(small, width, np.minimum)[: n - words + 1]
+    lowest[text[words - 1 :] != text[: n - words + 1]] = 0
+    padded = np.concatenate((np.zeros(width - 1, np.uint32), lowest, np.zeros(words - 1, np.uint32)))
+    place = np.flatnonzero(sliding(padded, width, np.maximum) == small)
+    place = thinned(place, small, text[place], width)
+    first, past = np.searchsorted(text, text[place]), np.searchsorted(text, text[place], "right")
+    return hashes[place], text[place], begins[np.maximum(place - width + 1, first)], ends[np.minimum(place + words, past) - 1]
+
+
+def long_enough(longest: np.ndarray, data: np.ndarray, words: int) -> np.ndarray:
+    """Of the strings of these lengths, from their places on, those that hold so many words whole, without what they hold of others."""
+    begins, ends = words_in(data, np.array([0, len(data)]))
+    starts = np.flatnonzero(longest)
+    first, past = np.searchsorted(begins, starts), np.searchsorted(ends, starts + longest[starts], "right")
+    out = np.zeros(len(data), np.int64)
+    kept = past - first >= words
+    np.maximum.at(out, begins[first[kept]], ends[past[kept] - 1] - begins[first[kept]])
+    return out
+
+
+def word_windows(data: np.ndarray, words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """A hash of every so many words, and where they begin and end."""
+    begins, ends = words_in(data, np.array([0, len(data)]))
+    begins, ends, raw = begins[: max(0, len(begins) - words + 1)], ends[words - 1 :], data.tobytes()
+    return np.array([short_digest(raw[a:b]) for a, b in zip(begins, ends)], np.uint64), begins, ends
+
+
+def short_digest(raw: bytes) -> int:
+    return int.from_bytes(hashlib.blake2b(raw, digest_size=8).digest(), "little")
+
+
+def anchor_table(docs: DataFrame, least: int, words: int = 0) -> DataFrame:
+    """digest, n, copies, and of each different text the hashes of anchors, hashes of their contexts, and where these begin and end."""
+    if words:
+        return word_anchor_table(docs, words)
     side = least - GRAM
     count = (2 * side + GRAM) // 8
 
@@ -105,12 +180,33 @@ def anchor_table(docs: DataFrame, least: int) -> DataFrame:
                 for k in np.flatnonzero(high - low != 2 * side + GRAM):
                     context[k] = int.from_bytes(hashlib.blake2b(data[low[k] : high[k]].tobytes(), digest_size=8).digest(), "little")
                 first = np.searchsorted(text, np.arange(len(offsets)))
-                lists = [pa.ListArray.from_arrays(pa.array(first, pa.int32()), pa.array(x)) for x in (hashes.view(np.int64), context.view(np.int64), place - offsets[text])]
+                lists = [pa.ListArray.from_arrays(pa.array(first, pa.int32()), pa.array(x)) for x in (hashes.view(np.int64), context.view(np.int64), (low - offsets[text]).astype(np.int32), (high - offsets[text]).astype(np.int32))]
                 digests = [hashlib.md5(data[a:b].tobytes()).digest() for a, b in zip(offsets[:-1], offsets[1:])]
-                yield pa.RecordBatch.from_arrays([pa.array(digests, pa.binary()), pa.array(np.diff(offsets)), *lists], ["digest", "n", "h", "c", "p"]).filter(pa.array(np.diff(offsets) >= least))
+                yield pa.RecordBatch.from_arrays([pa.array(digests, pa.binary()), pa.array(np.diff(offsets)), *lists], ["digest", "n", "h", "c", "low", "high"]).filter(pa.array(np.diff(offsets) >= least))
 
-    found = docs.select(F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("text")).mapInArrow(run, "digest binary, n long, h array<long>, c array<long>, p array<long>")
-    return found.groupBy("digest").agg(F.count("*").alias("copies"), *(F.first(c).alias(c) for c in ("n", "h", "c", "p")))
+    return table_of(docs, run)
+
+
+def table_of(docs: DataFrame, run) -> DataFrame:
+    found = docs.select(F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("text")).mapInArrow(run, "digest binary, n long, h array<long>, c array<long>, low array<int>, high array<int>")
+    return found.groupBy("digest").agg(F.count("*").alias("copies"), *(F.first(c).alias(c) for c in ("n", "h", "c", "low", "high")))
+
+
+def word_anchor_table(docs: DataFrame, words: int) -> DataFrame:
+    def run(batches):
+        with np.errstate(over="ignore"):
+            for batch in slices(batches):
+                data, offsets = utf8(batch.column(0))
+                hashes, text, low, high = word_anchors(data, offsets, words)
+                raw = data.tobytes()
+                context = np.array([short_digest(raw[a:b]) for a, b in zip(low.tolist(), high.tolist())], np.uint64)
+                first = np.searchsorted(text, np.arange(len(offsets)))
+                lists = [pa.ListArray.from_arrays(pa.array(first, pa.int32()), pa.array(x)) for x in (hashes.view(np.int64), context.view(np.int64), (low - offsets[text]).astype(np.int32), (high - offsets[text]).astype(np.int32))]
+                digests = [hashlib.md5(raw[a:b]).digest() for a, b in zip(offsets[:-1], offsets[1:])]
+                enough = np.diff(np.searchsorted(words_in(data, offsets)[0], offsets)) >= words
+                yield pa.RecordBatch.from_arrays([pa.array(digests, pa.binary()), pa.array(np.diff(offsets)), *lists], ["digest", "n", "h", "c", "low", "high"]).filter(pa.array(enough))
+
+    return table_of(docs, run)
 
 
 class SuffixArray:
@@ -248,7 +344,7 @@ def joined_contexts(rows: pd.DataFrame) -> list[tuple[bytes, int, bool, bytes]]:
     return out
 
 
-def repeats_of_part(least: int):
+def repeats_of_part(least: int, words: int = 0):
     """For applyInPandas: spans of contexts that repeat; of an anchor in several parts also the hashes of its windows."""
 
     def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
@@ -258,10 +354,12 @@ def repeats_of_part(least: int):
         out = []
         for (digest, low, many, _), a, b in zip(rows, array.start, array.end):
             if not many:
-                out += [(digest, low + first, low + past, None, None, None, None) for first, past in runs_of(longest[a:b])]
+                found = long_enough(longest[a:b], array.text[a:b] - 1, words) if words else longest[a:b]
+                out += [(digest, low + first, low + past, None, None, None, None) for first, past in runs_of(found)]
         if key[1] >= 0:
             with np.errstate(over="ignore"):
-                hashes = np.unique(np.concatenate([window_hashes(np.frombuffer(c, np.uint8), least) for *_, c in rows]))
+                each = (np.frombuffer(c, np.uint8) for *_, c in rows)
+                hashes = np.unique(np.concatenate([word_windows(c, words)[0] if words else window_hashes(c, least) for c in each]))
             for r in range(RANGES):
                 out.append((None, None, None, key[0], key[1], r, hashes[hashes >> np.uint64(60) == r].tobytes()))
         columns = zip(*out) if out else [()] * 7
@@ -280,7 +378,7 @@ def shared_hashes(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame([k for k in kept if k[2]], columns=["h", "part", "blob"])
 
 
-def repeats_across(least: int):
+def repeats_across(least: int, words: int = 0):
     """For cogrouped applyInPandas: spans of windows that other parts hold."""
 
     def run(rows: pd.DataFrame, shared: pd.DataFrame) -> pd.DataFrame:
@@ -290,9 +388,15 @@ def repeats_across(least: int):
             for digest, low, many, context in zip(rows["digest"], rows["low"], rows["many"], rows["context"]):
                 if many:
                     continue
-                with np.errstate(over="ignore"):
-                    found = np.isin(window_hashes(np.frombuffer(context, np.uint8), least), known)
-                out += [(digest, low + first, low + past) for first, past in runs_of(found * least)]
+                data = np.frombuffer(context, np.uint8)
+                if words:
+                    hashes, begins, ends = word_windows(data, words)
+                    found, longest = np.isin(hashes, known), np.zeros(len(data), np.int64)
+                    longest[begins[found]] = (ends - begins)[found]
+                else:
+                    with np.errstate(over="ignore"):
+                        longest = np.isin(window_hashes(data, least), known) * least
+                out += [(digest, low + first, low + past) for first, past in runs_of(longest)]
         return pd.DataFrame(out, columns=["digest", "first", "past"])
 
     return run
@@ -302,34 +406,36 @@ def digest_of(text) -> F.Column:
     return F.unhex(F.md5(F.coalesce(text, F.lit("")).cast("binary")))
 
 
-def repeated_spans(docs: DataFrame, least: int = LEAST, part: int = PART) -> tuple[DataFrame, DataFrame]:
-    """(digest, spans) of texts that occur once, and (digest) of those that occur more often and are long enough to be repeats whole."""
-    side = least - GRAM
-    table = cut(anchor_table(docs, least))
-    each = table.select("digest", "n", F.explode(F.arrays_zip("h", "c", "p")).alias("x")).select("digest", "n", "x.h", "x.c", "x.p")
+def repeated_spans(docs: DataFrame, least: int = LEAST, part: int = PART, *, words: int = 0) -> tuple[DataFrame, DataFrame]:
+    """(digest, spans) of texts that occur once, and (digest) of those that occur more often and are long enough to be repeats whole.
+
+    With ``words``, repeats of so many words, however few bytes these have; ``least`` doesn't matter then.
+    """
+    least = 2 * words - 1 if words else least
+    table = cut(anchor_table(docs, least, words))
+    each = table.select("digest", F.explode(F.arrays_zip("h", "c", "low", "high")).alias("x")).select("digest", "x.*")
     groups = cut(each.groupBy("h").agg(F.count("*").alias("m"), F.min("c").alias("a"), F.max("c").alias("b")).where("m > 1").select("h", (F.col("a") != F.col("b")).alias("mixed")))
     near = cut(sift(each, "h", groups.select("h"), 25).join(groups, "h"))
-    classes = near.groupBy("h", "c").agg(F.count("*").alias("m"), F.min(F.struct("digest", "p", "n")).alias("rep"), F.first("mixed").alias("mixed"))
+    classes = near.groupBy("h", "c").agg(F.count("*").alias("m"), F.min(F.struct("digest", "low", "high")).alias("rep"), F.first("mixed").alias("mixed"))
     classes = cut(classes)
-    low, high = F.greatest(F.col("p") - side, F.lit(0)), F.least(F.col("p") + GRAM + side, F.col("n"))
     alike = sift(near, "c", classes.where("m > 1").select("c")).join(classes.where("m > 1").select("h", "c"), ["h", "c"], "left_semi")
-    spans = alike.select("digest", low.alias("first"), high.alias("past")).where(f"past - first >= {least}")
-    reps = classes.where("mixed").select("h", (F.col("m") > 1).alias("many"), "rep.*").where(high - low >= least)
-    often = cut(reps.groupBy("h").agg(F.count("*").alias("k")).where("k > 1"))
-    total = often.agg(F.sum("k")).first()[0] or 0
-    arrays = max(1, -(-total * (2 * side + GRAM) // ARRAY_BYTES))
+    spans = alike.select("digest", F.col("low").cast("long").alias("first"), F.col("high").cast("long").alias("past")).where(f"past - first >= {least}")
+    reps = classes.where("mixed").select("h", (F.col("m") > 1).alias("many"), "rep.*").where(f"high - low >= {least}")
+    often = cut(reps.groupBy("h").agg(F.count("*").alias("k"), F.sum(F.col("high") - F.col("low")).alias("bytes")).where("k > 1"))
+    total = often.agg(F.sum("bytes")).first()[0] or 0
+    arrays = max(1, -(-total // ARRAY_BYTES))
     dealt = reps.join(often, "h").withColumn("parts", F.ceil(F.col("k") / part).cast("int"))
     hot = F.col("parts") > 1
-    dealt = dealt.select("digest", "many", "h", low.alias("low"), high.alias("high"), F.when(hot, F.col("h")).otherwise(F.pmod("h", F.lit(arrays))).alias("g"), F.when(hot, F.pmod(F.hash("digest"), "parts")).otherwise(-1).alias("part"))
+    dealt = dealt.select("digest", "many", "h", "low", "high", F.when(hot, F.col("h")).otherwise(F.pmod("h", F.lit(arrays))).alias("g"), F.when(hot, F.pmod(F.hash("digest"), "parts")).otherwise(-1).alias("part"))
     wanted = dealt.groupBy("digest").agg(F.collect_list(F.struct("low", "high", "many", "g", "part")).alias("w"))
     texts = docs.select(digest_of(F.col("text")).alias("digest"), F.coalesce("text", F.lit("")).cast("binary").alias("text")).where(f"octet_length(text) >= {least}")
     texts = sift(texts, "digest", wanted.select("digest")).dropDuplicates(["digest"]).join(wanted, "digest")
     contexts = cut(texts.select("digest", "text", F.explode("w").alias("w")).select("digest", "w.*", F.expr("substring(text, w.low + 1, w.high - w.low)").alias("context")).drop("high"))
-    found = cut(contexts.groupBy("g", "part").applyInPandas(repeats_of_part(least), SPANS))
+    found = cut(contexts.groupBy("g", "part").applyInPandas(repeats_of_part(least, words), SPANS))
     spans = spans.unionByName(found.where("digest IS NOT NULL").select("digest", "first", "past"))
     if often.where(F.col("k") > part).limit(1).count():
         shared = found.where("blob IS NOT NULL").groupBy("h", "r").applyInPandas(shared_hashes, "h long, part int, blob binary")
-        again = contexts.where("part >= 0").groupBy("g", "part").cogroup(shared.groupBy("h", "part")).applyInPandas(repeats_across(least), "digest binary, first long, past long")
+        again = contexts.where("part >= 0").groupBy("g", "part").cogroup(shared.groupBy("h", "part")).applyInPandas(repeats_across(least, words), "digest binary, first long, past long")
         spans = spans.unionByName(again)
     once = table.where("copies = 1").select("digest")
     merged = spans.join(once, "digest", "left_semi").groupBy("digest").agg(F.sort_array(F.collect_set(F.struct("first", "past"))).alias("spans"))
@@ -388,9 +494,16 @@ def dedup_report(docs: DataFrame, least: int = LEAST) -> DataFrame:
     return light.join(done, "digest", "left").select("doc_id", "n_bytes", removed.alias("n_removed"), F.coalesce("spans", F.lit(0)).alias("n_spans"), F.coalesce("kept", "all").alias("kept_sha256"))
 
 
-def without_repeats(docs: DataFrame, least: int = LEAST) -> DataFrame:
-    """The rows with repeated strings cut out of their texts, all their columns; characters that are covered in part stay, n_chars follows."""
+def without_repeats(docs: DataFrame, least: int = LEAST, *, words: int = 0) -> DataFrame:
+    """The rows with repeated strings cut out of their texts, all their columns; characters that are covered in part stay, n_chars follows.
+
+    With ``words``, repeats of so many words go as well as those of ``least`` bytes.
+    """
     spans, copies = repeated_spans(docs, least)
+    if words:
+        more, others = repeated_spans(docs, words=words)
+        spans = spans.unionByName(more).groupBy("digest").agg(F.flatten(F.collect_list("spans")).alias("spans"))
+        copies = copies.unionByName(others).distinct()
     names = docs.columns
     inner = docs.select(digest_of(F.col("text")).alias("_digest"), F.struct(*names).alias("_row"))
     wanted = spans.unionByName(copies.select("digest", F.lit(None).cast(spans.schema["spans"].dataType).alias("spans"))).toDF("_digest", "_spans")

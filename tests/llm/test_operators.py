@@ -140,6 +140,21 @@ def test_repeats_against_all_windows(spark, part, monkeypatch):
     assert [r["n_removed"] for r in got] == brute_removed([(t or "").encode() for t in texts], 400)
 
 
+@pytest.mark.parametrize("part", [2000, 3])
+def test_stage_cuts_passages_of_over_fifty_words(spark, part, monkeypatch):
+    import corpus_pipeline
+
+    monkeypatch.setattr(suffix_dedup.repeated_spans, "__defaults__", (400, part))
+    rng = random.Random(11)
+    words = lambda n, least=4: " ".join("".join(rng.choice("abcdefghij") for _ in range(rng.randint(least, 6))) for _ in range(n))
+    passage, shorter, brief, whole = words(51), words(50), " ".join(rng.choice("abcdefghijklmnopqrst") for _ in range(51)), words(51)
+    parts = [(words(40), mid, words(40)) for mid in (passage,) * 8 + (shorter, shorter, brief, brief)]
+    assert len(passage) < 400 and len(brief) == 101
+    docs = docs_of(spark, [*(" ".join(p) for p in parts), whole, whole, words(30), None, ""])
+    got = [r["text"] for r in sorted(corpus_pipeline.suffix_array_dedup(spark, docs, "").collect())]
+    assert got[:14] == [*(f"{a}  {c}" if mid != shorter else f"{a} {mid} {c}" for a, mid, c in parts), "", ""]
+
+
 def test_maximal_repeats_have_all_occurrences():
     array = suffix_dedup.SuffixArray([b"xabcdeabcdy", b"zabcdq"], 4)
     found = {(n, tuple(sorted(array.order[a:b].tolist()))) for n, a, b in array.maximal_repeats(4)}
