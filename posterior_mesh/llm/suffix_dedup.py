@@ -176,7 +176,7 @@ def anchor_table(docs: DataFrame, least: int, words: int = 0) -> DataFrame:
                 steps, tail = 8 * np.arange(count), 2 * side + GRAM - 8
                 for at in range(0, len(whole), 4096):
                     some = whole[at : at + 4096]
-                    context[some] = mix((words[low[some][:, None] + steps] * COEFFICIENTS[:count]).sum(axis=1, dtype=np.uint64) + words[low[some] + tail] * COEFFICIENTS[127])
+                    context[some] = mix((mix(words[low[some][:, None] + steps]) * COEFFICIENTS[:count]).sum(axis=1, dtype=np.uint64) + mix(words[low[some] + tail]) * COEFFICIENTS[127])
                 for k in np.flatnonzero(high - low != 2 * side + GRAM):
                     context[k] = int.from_bytes(hashlib.blake2b(data[low[k] : high[k]].tobytes(), digest_size=8).digest(), "little")
                 first = np.searchsorted(text, np.arange(len(offsets)))

@@ -155,6 +155,25 @@ def test_stage_cuts_passages_of_over_fifty_words(spark, part, monkeypatch):
     assert got[:14] == [*(f"{a}  {c}" if mid != shorter else f"{a} {mid} {c}" for a, mid, c in parts), "", ""]
 
 
+def test_contexts_of_templates_have_hashes_of_their_own(spark):
+    rng = random.Random(4)
+    place = []
+    while 368 not in place:  # an anchor whose context is the whole text
+        base = bytearray(rng.choice(b"abcdefghijkl") for _ in range(768))
+        place, _ = suffix_dedup.anchors(np.frombuffer(bytes(base), np.uint8), np.array([0, 768]), 400)
+    texts = []
+    for a, b in [(7, 15), (15, 31), (23, 47), (7, 63), (31, 95), (39, 103)]:  # bytes that are eighth in their words
+        for x in range(48, 58):
+            for y in range(48, 58):
+                one = bytearray(base)
+                one[a], one[b] = x, y
+                texts.append(bytes(one).decode())
+    texts = sorted({*texts})
+    table = suffix_dedup.anchor_table(docs_of(spark, texts), 400).selectExpr("explode(arrays_zip(c, low, high)) AS x").where("x.high - x.low = 768").select("x.c")
+    hashes = [r["c"] for r in table.collect()]
+    assert len(hashes) == len({*hashes}) == len(texts)
+
+
 def test_maximal_repeats_have_all_occurrences():
     array = suffix_dedup.SuffixArray([b"xabcdeabcdy", b"zabcdq"], 4)
     found = {(n, tuple(sorted(array.order[a:b].tolist()))) for n, a, b in array.maximal_repeats(4)}
