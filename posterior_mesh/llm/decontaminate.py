@@ -5,7 +5,8 @@ that ends there and occurs in an item. A window is ``WINDOW`` words of an item,
 item; words inside an occurrence of a window are hit.
 
 Defined cases: null and wordless texts have no words and no hits; wordless items match nothing;
-repeated item ids count once; repeated rows each give a row; an empty benchmark hits nothing. The
+repeated item ids count once; words of items without an id are hit, and these items count as one but
+have no part in the hash of ids; repeated rows each give a row; an empty benchmark hits nothing. The
 benchmark reaches the executors as one automaton of at most ``MOST_WORDS`` words; a larger benchmark
 is dealt into several, and the documents run through them one after the other without a shuffle.
 """
@@ -145,7 +146,7 @@ def words_of(text: bytes) -> list[bytes]:
 def automata(benchmark: DataFrame, window: int = WINDOW, most: int = MOST_WORDS) -> list[Automaton]:
     """One automaton, or as many as the words of the benchmark need."""
     out, held, seen = [], [], 0
-    rows = benchmark.select("item_id", F.col("text").cast("binary").alias("text")).where("item_id IS NOT NULL AND text IS NOT NULL").orderBy("item_id")
+    rows = benchmark.select("item_id", F.col("text").cast("binary").alias("text")).where("text IS NOT NULL").orderBy("item_id")
     for item, text in rows.toLocalIterator():
         words = words_of(bytes(text))
         if held and seen + len(words) > most:
@@ -156,7 +157,7 @@ def automata(benchmark: DataFrame, window: int = WINDOW, most: int = MOST_WORDS)
 
 
 def find_contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, most: int = MOST_WORDS) -> DataFrame:
-    """doc_id, n_words, spans (hit words, [first, past)), items (ids as strings, sorted)."""
+    """doc_id, n_words, spans (hit words, [first, past)), items (ids as strings, sorted, null last)."""
     spark = docs.sparkSession
     now = docs.select("doc_id", F.col("text").cast("binary").alias("text"), F.lit(None).cast("long").alias("n_words"), F.lit(None).cast("array<array<int>>").alias("spans"), F.lit(None).cast("array<string>").alias("items"))
     for automaton in automata(benchmark, window, most):
@@ -171,7 +172,7 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, window: int = WIND
                     hit, found = of.scan(words)
                     n.append(len(words))
                     spans.append(merged([*(old or []), *hit]) if old else hit)
-                    items.append(sorted({*(before or []), *map(str, found)}))
+                    items.append(sorted({*(before or []), *(None if i is None else str(i) for i in found)}, key=lambda i: (i is None, i or "")))
                 columns = [batch.column(0), batch.column(1), pa.array(n, pa.int64()), pa.array(spans, pa.list_(pa.list_(pa.int32()))), pa.array(items, pa.list_(pa.string()))]
                 yield pa.RecordBatch.from_arrays(columns, ["doc_id", "text", "n_words", "spans", "items"])
 

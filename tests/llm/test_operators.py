@@ -108,6 +108,22 @@ def test_links_against_all_pairs(spark, options):
     assert [(r["n_shingles"], r["component_id"]) for r in got] == brute_components(texts, 4, 85)
 
 
+def test_items_without_an_id_are_hit_as_in_sql(spark):
+    item, other = ("w%d " * 20 % tuple(range(20))).strip(), ("v%d " * 20 % tuple(range(20))).strip()
+    docs, benchmark = docs_of(spark, [item, f"{item} {other}", "free"]), spark.createDataFrame([(None, item), (7, other)], "item_id long, text string")
+    got = sorted(decontaminate.verdicts(docs, benchmark).collect())
+    assert [(r["n_hit"], r["n_items"], r["contaminated"]) for r in got] == [(20, 1, True), (40, 2, True), (0, 0, False)]
+    assert got[0]["items_sha256"] == got[2]["items_sha256"] != got[1]["items_sha256"]
+    import duckdb
+
+    with duckdb.connect() as db:
+        db.execute("CREATE TABLE documents (doc_id BIGINT, text VARCHAR); CREATE TABLE benchmark (item_id BIGINT, text VARCHAR)")
+        db.executemany("INSERT INTO documents VALUES (?, ?)", [(0, item), (1, f"{item} {other}"), (2, "free")])
+        db.executemany("INSERT INTO benchmark VALUES (?, ?)", [(None, item), (7, other)])
+        assert sorted(db.execute(decontaminate.OP7_SQL).fetchall()) == [tuple(r) for r in got]
+    assert [r["text"] for r in decontaminate.decontaminate(docs, benchmark).collect()] == ["free"]
+
+
 @pytest.mark.parametrize("n", [1, 2, 3, 4])
 def test_sets_of_a_slice_with_few_words(spark, n):
     text = " ".join("abcd"[:n])
