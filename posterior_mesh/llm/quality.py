@@ -1,8 +1,9 @@
 """Quality by co-training: a view of a text's content and a view of its page's metadata.
 
 Each view has a logistic classifier of its own. Round by round, each labels the unlabelled rows that
-it is surest of, and these go into the other view's training set. At the end both views are
-calibrated and combined by a logistic curve that is fitted on labelled rows which neither was
+it is surest of, and these go into the other view's training set. All unlabelled rows take part:
+their features are worked out once, rounds score and fit over them in the tasks, and the driver
+sees sums only. At the end both views are calibrated and combined by a logistic curve that is fitted on labelled rows which neither was
 trained on.
 
 Defined cases: null text is empty, null metadata is a value of its own, missing n_chars is the text's
@@ -13,6 +14,7 @@ repeated rows each give a row.
 from __future__ import annotations
 
 import pickle
+import zlib
 
 import numpy as np
 import pandas as pd
@@ -20,11 +22,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import held_out, load, slices
-from .models import CHARS, ROWS, fit_logistic, logistic, sample_of
+from .common import cut, held_out, load, slices
+from .models import ROWS, fit_logistic, logistic, sample_of
 
-#: Unlabelled rows that pseudo-labels are drawn from at most, rounds, and rows that a view labels in a round.
-POOL, ROUNDS, EACH = 3000, 5, 80
+#: Rounds, and the share of all unlabelled rows that a view labels in a round (AT_LEAST rows, if there are so many).
+ROUNDS, EACH, AT_LEAST = 5, 80 / 3000, 80
+#: Columns that languages and sources are hashed into, bins of a logit, steps of a fit over all rows at most.
+LANGS, SOURCES, BINS, STEPS = 32, 128, 400, 8
+CONTENT, META = 146, LANGS + SOURCES + 2
 
 # Classes of bytes for the content view.
 CLASSES = 12
@@ -43,72 +48,168 @@ def content_of(text: str) -> np.ndarray:
     return np.append(np.sqrt(pairs / max(1, len(kinds) - 1)), [len({*words}) / max(1, len(words)), min(2.0, len(text) / max(1, len(words)) / 10)])
 
 
-def metadata_of(lang, source, n_chars, known: dict) -> np.ndarray:
-    out = np.zeros(len(known) + 3)
-    for kind, value in (("lang", lang), ("source", source)):
-        out[known.get((kind, value), len(known))] = 1
+def metadata_of(lang, source, n_chars) -> np.ndarray:
+    out = np.zeros(META)
+    for value, first, width in ((lang, 0, LANGS), (source, LANGS, SOURCES)):
+        out[first + zlib.crc32(b"\xff" if value is None else str(value).encode()) % width] = 1
     size = np.log1p(max(0, n_chars or 0))
     out[-2:] = size / 10, (size / 10) ** 2
     return out
 
 
-def co_train(content: np.ndarray, meta: np.ndarray, y: np.ndarray, pool_content: np.ndarray, pool_meta: np.ndarray, rounds: int = ROUNDS, each: int = EACH) -> dict:
-    """Weights of both views, and the curve that combines their logits."""
-    kept = np.arange(len(y)) % 4 == 3  # for calibration
-    views, pools = [content, meta], [pool_content, pool_meta]
-    train = [[v[~kept], y[~kept]] for v in views]
-    free = np.ones(len(pool_content), bool)
-    share = y[~kept].mean()
-    history = []
-    for _ in range(rounds):
-        models = [fit_logistic(x, t, 1e-3) for x, t in train]
-        gifts = []
-        for k in (0, 1):
-            p = np.where(free, logistic(pools[k], models[k]), np.nan)
-            taken = [np.argsort(np.where(np.isnan(p), 9.0, p), kind="stable")[: round(each * (1 - share))], np.argsort(np.where(np.isnan(p), 9.0, -p), kind="stable")[: round(each * share)]]
-            sure = [(i, label) for label, rows in enumerate(taken) for i in rows if free[i] and (p[i] > 0.8 if label else p[i] < 0.2)]
-            gifts.append(sure)
-        for k, sure in enumerate(gifts):
-            if sure:
-                rows, given = np.array([i for i, _ in sure]), np.array([g for _, g in sure])
-                other = train[1 - k]
-                train[1 - k] = [np.vstack([other[0], pools[1 - k][rows]]), np.append(other[1], given)]
-                free[rows] = False
-        history.append([len(g) for g in gifts])
-        if not any(history[-1]):
-            break
-    models = [fit_logistic(x, t, 1e-3) for x, t in train]
-    logits = np.column_stack([v[kept] @ m[:-1] + m[-1] for v, m in zip(views, models)])
-    return {"models": models, "curve": fit_logistic(np.clip(logits, -15, 15), y[kept], 1e-3), "given": history}
+def features(rows: pd.DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    content = np.array([content_of(t) for t in rows["text"]]).reshape(-1, CONTENT)
+    sizes = [len(t) if n is None or n != n else n for n, t in zip(rows["n_chars"], rows["text"])]
+    return content, np.array([metadata_of(a, b, n) for a, b, n in zip(rows["lang"], rows["source"], sizes)]).reshape(-1, META)
 
 
-def features(rows: pd.DataFrame, known: dict) -> tuple[np.ndarray, np.ndarray]:
-    content = np.array([content_of(t) for t in rows["text"]])
-    sizes = [len(t) if n is None or n != n else n for n, t in zip(rows["n_chars"], rows["text"])]
-    return content, np.array([metadata_of(a, b, n, known) for a, b, n in zip(rows["lang"], rows["source"], sizes)])
+def logits_of(views: list[np.ndarray], models: list[np.ndarray]) -> list[np.ndarray]:
+    return [x @ w[:-1] + w[-1] for x, w in zip(views, models)]
+
+
+def given(views: list[np.ndarray], history: list) -> tuple[list[np.ndarray], np.ndarray]:
+    """Labels that each view gets of the other in these rounds (nan: none), and which rows are free still.
+
+    A round is the models of both views and, of each, the logits below and above which it labels.
+    """
+    got, free = [np.full(len(views[0]), np.nan) for _ in views], np.ones(len(views[0]), bool)
+    for models, limits in history:
+        taken = np.zeros(len(free), bool)
+        for k, (z, (low, high)) in enumerate(zip(logits_of(views, models), limits)):
+            for rows, label in ((free & (z <= low), 0.0), (free & (z >= high), 1.0)):
+                got[1 - k][rows] = label
+                taken |= rows
+        free &= ~taken
+    return got, free
+
+
+def unlabelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """x: the features of all rows outside the test fold that have a text and no label."""
+
+    def run(batches):
+        for batch in slices(batches):
+            content, meta = features(batch.to_pandas())
+            x = np.column_stack([content, meta]).astype(np.float32)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([one.tobytes() for one in x], pa.binary())], ["doc_id", "x"])
+
+    rest = docs.select("doc_id", "text", "lang", "source", "n_chars").where(F.col("text").isNotNull() & ~held_out(F.col("doc_id")))
+    return rest.mapInArrow(run, "doc_id long, x binary").join(labels.select("doc_id").distinct(), "doc_id", "left_anti").select("x")
+
+
+def summed(pool: DataFrame, work, size: int) -> np.ndarray:
+    """The sum over all rows of what ``work`` makes of both views, in two steps, so that little reaches the driver."""
+
+    def run(batches):
+        out = np.zeros(size)
+        for batch in batches:
+            for first in range(0, batch.num_rows, 1000):
+                x = np.frombuffer(b"".join(batch.column(0).slice(first, 1000).to_pylist()), np.float32).reshape(-1, CONTENT + META).astype(np.float64)
+                out += work([x[:, :CONTENT], x[:, CONTENT:]])
+        yield pa.RecordBatch.from_arrays([pa.array([out.tobytes()], pa.binary())], ["s"])
+
+    def add(rows: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({"s": [np.sum([np.frombuffer(s) for s in rows["s"]], axis=0).tobytes()]})
+
+    parts = pool.mapInArrow(run, "s binary").withColumn("g", F.spark_partition_id() % 8)
+    return sum((np.frombuffer(r["s"]) for r in parts.groupBy("g").applyInPandas(add, "s binary").collect()), np.zeros(size))
+
+
+def limits_of(pool: DataFrame, models: list, history: list, share: float, n: int) -> tuple[list, list]:
+    """For each view the logits below and above which it is surest, by counts of logits in bins; and how many rows these are."""
+    edges = np.linspace(-20, 20, BINS + 1)
+
+    def count(views):
+        _, free = given(views, history)
+        return np.concatenate([np.bincount(np.clip(np.searchsorted(edges, z[free], "right") - 1, 0, BINS - 1), minlength=BINS) for z in logits_of(views, models)]).astype(float)
+
+    limits, taken, most = [], [], max(AT_LEAST, EACH * n)
+    sure = np.log(4)  # a probability of 0.8
+    for counts in summed(pool, count, 2 * BINS).reshape(2, BINS):
+        low, high = np.cumsum(counts), np.cumsum(counts[::-1])
+        k = max(int(np.searchsorted(low, most * (1 - share), "right")), int(np.argmax(low > 0)) + 1)
+        j = max(int(np.searchsorted(high, most * share, "right")), int(np.argmax(high > 0)) + 1)
+        down, up = edges[k] if k < BINS else np.inf, edges[BINS - j] if j < BINS else -np.inf
+        limits.append((min(np.nextafter(down, -np.inf), -sure), max(up, sure)))
+        taken.append(int(counts[edges[1:] <= limits[-1][0] + 1e-9].sum() + counts[edges[:-1] >= limits[-1][1] - 1e-9].sum()))
+    return limits, taken
+
+
+def refit(pool: DataFrame, own: list, models: list, history: list, steps: int = STEPS) -> list:
+    """Newton's steps for both views on their labelled rows and on all rows that the other view labelled.
+
+    The latter weigh no more in all than the labelled ones do.
+    """
+    sizes = [(m + 1) * (m + 2) + 1 for m in (CONTENT, META)]
+
+    def parts(x, y, w):
+        """The loss, and the matrix and the right side of Newton's step."""
+        x = np.column_stack([x, np.ones(len(x))])
+        z = x @ w
+        p = 1 / (1 + np.exp(-np.clip(z, -30, 30)))
+        return np.append((np.logaddexp(0, z) - y * z).sum(), np.column_stack([(x * (p * (1 - p))[:, None]).T @ x, x.T @ (y - p)]).ravel())
+
+    tried = [w.copy() for w in models]
+    best: list = [(np.inf, w.copy(), np.zeros(len(w))) for w in models]  # loss, weights, the step tried from there
+    for _ in range(steps):
+        now = [w.copy() for w in tried]
+
+        def work(views, now=now):
+            out = []
+            for x, y, w in zip(views, given(views, history)[0], now):
+                some = ~np.isnan(y)
+                out += [[some.sum()], parts(x[some], y[some], w)]
+            return np.concatenate(out)
+
+        got, at, most = summed(pool, work, 2 + sum(sizes)), 0, 0.0
+        for k, size in enumerate(sizes):
+            n, more, w = got[at], got[at + 1 : at + 1 + size], tried[k]
+            at += 1 + size
+            x, y = own[k]
+            weight = min(1.0, len(y) / max(1.0, n))
+            hold = np.full(len(w), 1e-3 * max(1.0, len(y) + weight * n))
+            hold[-1] = 1e-6
+            both = parts(x, y, w) + weight * more
+            loss = both[0] + (hold * w * w).sum() / 2
+            if loss <= best[k][0]:
+                whole = both[1:].reshape(len(w), -1)
+                best[k] = loss, w, np.linalg.solve(whole[:, :-1] + np.diag(hold + 1e-9), whole[:, -1] - hold * w)
+            else:  # too far
+                best[k] = *best[k][:2], best[k][2] / 2
+            tried[k] = best[k][1] + best[k][2]
+            most = max(most, np.abs(best[k][2]).max())
+        if most < 1e-3:
+            return tried
+    return [w for _, w, _ in best]
+
+
+def co_train(content: np.ndarray, meta: np.ndarray, y: np.ndarray, pool: DataFrame, rounds: int = ROUNDS) -> dict:
+    """Weights of both views, the curve that combines their logits, and how many rows each view labelled by round."""
+    kept = np.arange(len(y)) % 4 == 3  # for calibration
+    own = [(v[~kept], y[~kept]) for v in (content, meta)]
+    share, n = y[~kept].mean(), pool.count()
+    models, history, counts = [fit_logistic(x, t, 1e-3) for x, t in own], [], []
+    for _ in range(rounds if n else 0):
+        limits, taken = limits_of(pool, models, history, share, n)
+        if not any(taken):
+            break
+        history = [*history, (models, limits)]
+        counts.append(taken)
+        models = refit(pool, own, models, history)
+    logits = np.column_stack(logits_of([content[kept], meta[kept]], models))
+    return {"models": models, "curve": fit_logistic(np.clip(logits, -15, 15), y[kept], 1e-3), "given": counts}
 
 
-def fit(docs: DataFrame, labels: DataFrame, rows: int = ROWS, pool: int = POOL) -> dict:
-    """From at most ``rows`` labelled rows of each class outside the test fold and ``pool`` unlabelled ones."""
-    columns = ["lang", "source", "n_chars"]
+def fit(docs: DataFrame, labels: DataFrame, rows: int = ROWS) -> dict:
+    """From at most ``rows`` labelled rows of each class outside the test fold and all unlabelled ones."""
     chosen = sample_of(docs, labels, "quality", rows)
     if chosen["label"].nunique() < 2:
         return {"constant": float(chosen["label"].iloc[0]) if len(chosen) else 0.5}
     spark = docs.sparkSession
     ids = spark.createDataFrame([(int(i),) for i in chosen["doc_id"].unique()], "doc_id long")
-    about = docs.select("doc_id", *columns).join(F.broadcast(ids), "doc_id").dropDuplicates(["doc_id"]).toPandas()
+    about = docs.select("doc_id", "lang", "source", "n_chars").join(F.broadcast(ids), "doc_id").dropDuplicates(["doc_id"]).toPandas()
     chosen = chosen.merge(about, on="doc_id").sort_values(["doc_id", "label"], ignore_index=True)
     chosen = chosen.iloc[np.argsort([hash_key(i) for i in chosen["doc_id"]], kind="stable")].reset_index(drop=True)
-    rest = docs.select("doc_id", "text", *columns).where(F.col("text").isNotNull() & (F.length("text") <= CHARS) & ~held_out(F.col("doc_id")))
-    near = rest.select("doc_id").join(labels.select("doc_id").distinct(), "doc_id", "left_anti").orderBy(F.xxhash64("doc_id"), "doc_id").limit(pool)
-    unlabelled = rest.join(F.broadcast(near), "doc_id").dropDuplicates(["doc_id"]).toPandas().sort_values("doc_id", ignore_index=True)
-    known = {}
-    for kind, most in (("lang", 20), ("source", 100)):
-        for value in chosen[kind].value_counts().sort_index().sort_values(ascending=False, kind="stable").index[:most]:
-            known[kind, value] = len(known)
-    content, meta = features(chosen, known)
-    more = features(unlabelled, known) if len(unlabelled) else (content[:0], meta[:0])
-    return co_train(content, meta, chosen["label"].to_numpy(np.float64), *more) | {"known": known}
+    return co_train(*features(chosen), chosen["label"].to_numpy(np.float64), cut(unlabelled(docs, labels)))
 
 
 def hash_key(number: int) -> int:
@@ -125,8 +226,8 @@ def score(docs: DataFrame, model: dict) -> DataFrame:
             if "constant" in m:
                 out = np.full((3, batch.num_rows), m["constant"])
             else:
-                content, meta = features(batch.to_pandas(), m["known"])
-                logits = [x @ w[:-1] + w[-1] for x, w in zip((content, meta), m["models"])]
+                content, meta = features(batch.to_pandas())
+                logits = logits_of([content, meta], m["models"])
                 out = [logistic(np.clip(np.column_stack(logits), -15, 15), m["curve"]), *(1 / (1 + np.exp(-np.clip(v, -30, 30))) for v in logits)]
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(x, pa.float64()) for x in out)], ["doc_id", "score", "content_score", "metadata_score"])
 
