@@ -20,7 +20,7 @@ RUNS, GRID = 50, (1.0, 2.0, 5.0, 10.0, 20.0, 50.0, 100.0)
 
 def errors_of(spark: SparkSession, spec: ProtocolSpec, sub: DataFrame, grid: list[float]) -> DataFrame:
     mesh = PosteriorMesh(spark, spec, sub, max(grid))
-    return metrics.second_moment_errors(mesh.global_draws(grid), sub, spec.d).withColumn("scheme", F.lit(spec.scheme))
+    return metrics.second_moment_errors(mesh.global_draws(grid, audit=True), sub, spec.d).withColumn("scheme", F.lit(spec.scheme))
 
 
 def paper_errors(spark: SparkSession, k: int, r: int, runs: int = 50, grid=(1.0, 2.0, 5.0, 10.0), schemes=SCHEMES, **options) -> DataFrame:
@@ -100,7 +100,7 @@ def event_rate_errors(spark: SparkSession, sf_dir: str, k: int = 5, r: int = 2,
     sub, times, each = event_rates(spark, sf_dir, k).persist(), [float(t) for t in grid], []
     for scheme in SCHEMES:
         spec = ProtocolSpec(scheme, k, r, d=1, runs=runs, ridge=ridge, warmup=10 if scheme == "coded_sum" else 0)
-        got = PosteriorMesh(spark, spec, sub, max(times)).global_draws(times)
+        got = PosteriorMesh(spark, spec, sub, max(times)).global_draws(times, audit=True)
         each.append(metrics.rate_errors(got, sub).withColumn("scheme", F.lit(scheme)))
     return reduce(DataFrame.unionByName, each)
 
