@@ -91,7 +91,7 @@ def brute_components(texts, words, percent):
     return [(len(s), u) for s, u in zip(sets, up)]
 
 
-@pytest.mark.parametrize("options", [{}, {"part_sets": 4, "common": 2}])
+@pytest.mark.parametrize("options", [{}, {"part_sets": 4}])
 def test_links_against_all_pairs(spark, options):
     rng = random.Random(5)
     word = lambda: "".join(rng.choice("abcdef") for _ in range(4))
