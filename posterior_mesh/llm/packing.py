@@ -28,10 +28,12 @@ from .common import cut, load, slices
 
 CAPACITY = 4096
 CLOSING = (1).to_bytes(4, "little")
-#: Words that a worker remembers.
-MEMO = 400_000
+#: Words, and words without what is cut off, that a worker remembers; twice as many at most.
+MEMO = 300_000
 # Characters that end words for the tokenizer, and those that only Python's split() takes for white space.
 ONLY_HERE = "\x1c\x1d\x1e\x1f"
+#: After a letter or digit these are a token's beginning for the tokenizer, whatever stands before; its special strings end in none of them.
+TAIL = ".,!?;:$%*#-_=+&@~^()[]{}\"`/\\"
 
 
 class WordIds:
@@ -42,6 +44,10 @@ class WordIds:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.known: dict[str, bytes] = {}
+        self.stems: dict[str, bytes] = {}
+        words = self.tokenizer.get_vocab(with_added_tokens=True)
+        self.ends = np.zeros(max(words.values()) + 1, bool)
+        self.ends[[k for w, k in words.items() if w.endswith("</w>")]] = True
 
     def _cut(self, text: str) -> list[str]:
         if any(c in text for c in ONLY_HERE):
@@ -53,25 +59,54 @@ class WordIds:
             return words
         return text.split()
 
-    def _learn(self, words: list[str]) -> None:
+    def _encode(self, words: list[str]) -> None:
         """Encode many words as one text; the places of the tokens tell whose they are."""
         encoded = self.tokenizer.encode(" ".join(words), add_special_tokens=False)
         places = np.array(encoded.offsets, np.int64).reshape(-1, 2)[:, 0]
         starts = np.cumsum([0, *(len(w) + 1 for w in words)])
-        raw, ends = np.array(encoded.ids, "<u4").tobytes(), (4 * np.searchsorted(places, starts)).tolist()
-        for k, w in enumerate(words):
-            self.known[w] = raw[ends[k] : ends[k + 1]]
+        self._keep(words, np.array(encoded.ids, "<u4"), np.searchsorted(places, starts))
+
+    def _encode_letters(self, words: list[str]) -> None:
+        """As ``_encode``, of words that are letters alone: each has one token that ends a word, its last."""
+        ids = np.array(self.tokenizer.encode_batch_fast([" ".join(words)], add_special_tokens=False)[0].ids, "<u4")
+        ends = np.flatnonzero(self.ends[ids]) + 1
+        if len(ends) == len(words):
+            self._keep(words, ids, np.concatenate(([0], ends)))
+        else:  # a letter whose lower case has marks
+            self._encode(words)
+
+    def _keep(self, words: list[str], ids: np.ndarray, ends: np.ndarray) -> None:
+        raw, ends = ids.tobytes(), (4 * ends).tolist()
+        for w, a, b in zip(words, ends, ends[1:]):
+            self.stems[w] = raw[a:b]
+
+    def _learn(self, words: set[str]) -> None:
+        parts = {}
+        for w in words:
+            stem = w.rstrip(TAIL)
+            if not stem.isascii() and ("\u0130" in stem or stem[-1:] > "\u0590") or not stem[-1:].isalnum():
+                stem = w  # its last letter may become one with a mark
+            # letters of Latin script have one lower case wherever they stand
+            plain = stem.isascii() or max(stem) < "\u0250" and "\u0130" not in stem
+            parts[w] = (stem.lower() if plain else stem), w[len(stem) :]
+        if len(self.stems) > 2 * MEMO:
+            self.stems = dict(list(self.stems.items())[MEMO:])
+        new = {x for pair in parts.values() for x in pair if x}.difference(self.stems)
+        for encode, some in ((self._encode_letters, [w for w in new if w.isalpha()]), (self._encode, [w for w in new if not w.isalpha()])):
+            for at in range(0, len(some), 1000):
+                encode(some[at : at + 1000])
+        of = self.stems
+        for w, (stem, tail) in parts.items():
+            self.known[w] = of[stem] + of[tail] if tail else of[stem]
 
     def ids(self, texts: list[str]) -> list[bytes]:
         """The ids of each text as little-endian unsigned 32-bit numbers."""
         cuts = [self._cut(t) for t in texts]
         if len(self.known) > 2 * MEMO:
             self.known = dict(list(self.known.items())[MEMO:])
-        new = [w for w in set(chain.from_iterable(cuts)) if w not in self.known]
-        for at in range(0, len(new), 2000):
-            self._learn(new[at : at + 2000])
-        of = self.known
-        return [b"".join([of[w] for w in c]) for c in cuts]
+        self._learn(set().union(*cuts).difference(self.known))
+        of = self.known.__getitem__
+        return [b"".join(map(of, c)) for c in cuts]
 
 
 @lru_cache(1)
@@ -184,29 +219,27 @@ def plan(counts: dict[int, int], capacity: int = CAPACITY) -> list[tuple[int, in
     return rows
 
 
-#: Ranks within a length are counted in so many parts, so that a frequent length isn't one task.
-PARTS = 64
+#: Ranks within a length are counted in so many parts at least, so that a frequent length isn't one task, and for so many pieces more in one more.
+PARTS, PART_PIECES = 64, 1 << 20
+#: Pieces of one length meet the steps of their plan by runs of so many ranks.
+RUN = 256
 
 
 def pack(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     """The pieces with sequence_id and offset."""
     spark = pieces.sparkSession
-    held = cut(pieces.withColumn("part", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(PARTS))))
-    by_part = cut(held.groupBy("length", "part").agg(F.count("*").alias("n")))
-    counts = {r["length"]: r["n"] for r in by_part.groupBy("length").agg(F.sum("n").alias("n")).collect()}  # at most `capacity` rows
+    held = cut(pieces)
+    counts = {r["length"]: r["n"] for r in held.groupBy("length").agg(F.count("*").alias("n")).collect()}  # at most `capacity` rows
+    parts = max(PARTS, sum(counts.values()) // PART_PIECES)
+    held = held.withColumn("part", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(parts)))
+    by_part = held.groupBy("length", "part").agg(F.count("*").alias("n"))
     before = by_part.withColumn("before", F.sum("n").over(W.partitionBy("length").orderBy("part")) - F.col("n")).drop("n")
     rank = F.row_number().over(W.partitionBy("length", "part").orderBy("doc_id", "piece", "ids_crc32", "start"))
-    ranked = held.withColumn("rank", rank - 1).join(F.broadcast(before), ["length", "part"]).withColumn("rank", F.col("rank") + F.col("before"))
-    steps = plan(counts, capacity)
-    by_length: dict[int, list] = {}
-    for n, *step in steps:
-        by_length.setdefault(n, []).append(step)
-    rows = [(n, [s[0] for s in own], [s[2] for s in own], [s[3] for s in own]) for n, own in by_length.items()]
-    table = spark.createDataFrame(rows, "length long, firsts array<long>, sequences array<long>, offsets array<long>")
-    # the ranks of a length's steps ascend: a binary search by folding would be no shorter than this count
-    at = "size(filter(firsts, x -> x <= rank)) - 1"
-    placed = ranked.join(F.broadcast(table), "length").withColumn("at", F.expr(at))
-    return placed.selectExpr("doc_id", "piece", "start", "length", "ids_crc32", "sequences[at] + rank - firsts[at] AS sequence_id", "offsets[at] AS offset")
+    ranked = held.withColumn("rank", rank - 1).join(before, ["length", "part"]).withColumn("rank", F.col("rank") + F.col("before"))
+    steps = spark.createDataFrame(plan(counts, capacity), "length long, first long, past long, sequence long, offset long")
+    runs = steps.withColumn("run", F.explode(F.expr(f"sequence(first DIV {RUN}, (past - 1) DIV {RUN})")))
+    placed = ranked.withColumn("run", F.expr(f"rank DIV {RUN}")).join(runs, ["length", "run"]).where("first <= rank AND rank < past")
+    return placed.selectExpr("doc_id", "piece", "start", "length", "ids_crc32", "sequence + rank - first AS sequence_id", "offset")
 
 
 def pack_documents(docs: DataFrame, capacity: int = CAPACITY) -> DataFrame:
