@@ -12,6 +12,7 @@ piece and digest; repeated rows each get a place; no rows give no sequences.
 
 from __future__ import annotations
 
+import re
 import zlib
 from bisect import bisect_left, insort
 from collections import Counter
@@ -20,6 +21,7 @@ from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -28,12 +30,15 @@ from .common import cut, load, slices
 
 CAPACITY = 4096
 CLOSING = (1).to_bytes(4, "little")
-#: Words, and words without what is cut off, that a worker remembers; twice as many at most.
+#: Words that a worker remembers; twice as many at most.
 MEMO = 300_000
 # Characters that end words for the tokenizer, and those that only Python's split() takes for white space.
 ONLY_HERE = "\x1c\x1d\x1e\x1f"
-#: After a letter or digit these are a token's beginning for the tokenizer, whatever stands before; its special strings end in none of them.
-TAIL = ".,!?;:$%*#-_=+&@~^()[]{}\"`/\\"
+#: A text with one of these is cut at white space alone: < begins the special strings, the dotted I gets a mark in lower case,
+#: and beyond Latin script lower case may depend on what stands around. White space beyond ASCII is here too.
+ODD = re.compile("[^\x00-\x1b\x20-;=-\x84\x86-\x9f\xa1-\u012f\u0131-\u024f]")
+#: Marks that begin a token of their own, for they stand after a letter or digit, and end a word.
+MARKS = re.compile(r"""[.,!?;:$%*#=+&@~^()[\]{}"`/\\_-](?<=[^\W_].)[.,!?;:$%*#=+&@~^()[\]{}"`/\\_-]*(?=\s|$)""")
 
 
 class WordIds:
@@ -44,11 +49,14 @@ class WordIds:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.known: dict[str, bytes] = {}
-        self.stems: dict[str, bytes] = {}
         words = self.tokenizer.get_vocab(with_added_tokens=True)
         self.ends = np.zeros(max(words.values()) + 1, bool)
         self.ends[[k for w, k in words.items() if w.endswith("</w>")]] = True
 
+    def _parted(self, text: str) -> str:
+        """The text with white space between what may be encoded alone."""
+        return " ".join(self._cut(text)) if ODD.search(text) else MARKS.sub(r" \g<0>", text.lower())
+
     def _cut(self, text: str) -> list[str]:
         if any(c in text for c in ONLY_HERE):
             for i, c in enumerate(ONLY_HERE):
@@ -78,35 +86,31 @@ class WordIds:
     def _keep(self, words: list[str], ids: np.ndarray, ends: np.ndarray) -> None:
         raw, ends = ids.tobytes(), (4 * ends).tolist()
         for w, a, b in zip(words, ends, ends[1:]):
-            self.stems[w] = raw[a:b]
+            self.known[w] = raw[a:b]
 
     def _learn(self, words: set[str]) -> None:
-        parts = {}
-        for w in words:
-            stem = w.rstrip(TAIL)
-            if not stem.isascii() and ("\u0130" in stem or stem[-1:] > "\u0590") or not stem[-1:].isalnum():
-                stem = w  # its last letter may become one with a mark
-            # letters of Latin script have one lower case wherever they stand
-            plain = stem.isascii() or max(stem) < "\u0250" and "\u0130" not in stem
-            parts[w] = (stem.lower() if plain else stem), w[len(stem) :]
-        if len(self.stems) > 2 * MEMO:
-            self.stems = dict(list(self.stems.items())[MEMO:])
-        new = {x for pair in parts.values() for x in pair if x}.difference(self.stems)
-        for encode, some in ((self._encode_letters, [w for w in new if w.isalpha()]), (self._encode, [w for w in new if not w.isalpha()])):
+        letters = [w for w in words if w.isalpha()]
+        for encode, some in ((self._encode_letters, letters), (self._encode, list(words.difference(letters)))):
             for at in range(0, len(some), 1000):
                 encode(some[at : at + 1000])
-        of = self.stems
-        for w, (stem, tail) in parts.items():
-            self.known[w] = of[stem] + of[tail] if tail else of[stem]
 
     def ids(self, texts: list[str]) -> list[bytes]:
-        """The ids of each text as little-endian unsigned 32-bit numbers."""
-        cuts = [self._cut(t) for t in texts]
+        """The ids of each text as little-endian unsigned 32-bit numbers. Each word is looked up once for all texts."""
+        parted = pc.ascii_split_whitespace(pa.array([self._parted(t) for t in texts], pa.large_string()))
+        coded = parted.flatten().dictionary_encode()
+        words = coded.dictionary.to_pylist()
         if len(self.known) > 2 * MEMO:
             self.known = dict(list(self.known.items())[MEMO:])
-        self._learn(set().union(*cuts).difference(self.known))
-        of = self.known.__getitem__
-        return [b"".join(map(of, c)) for c in cuts]
+        self.known[""] = b""
+        self._learn(set(words).difference(self.known))
+        own = list(map(self.known.__getitem__, words))
+        flat, sizes = np.frombuffer(b"".join(own), "<u4"), np.fromiter(map(len, own), np.int64, len(own)) // 4
+        which = coded.indices.to_numpy()
+        each = sizes[which]
+        past = np.concatenate(([0], np.cumsum(each)))
+        raw = flat[np.repeat((np.cumsum(sizes) - sizes)[which] - past[:-1], each) + np.arange(past[-1])].tobytes()
+        ends = (4 * past[parted.offsets.to_numpy() - parted.offsets[0].as_py()]).tolist()
+        return [raw[a:b] for a, b in zip(ends, ends[1:])]
 
 
 @lru_cache(1)
