@@ -19,8 +19,7 @@ RUNS, GRID = 50, (1.0, 2.0, 5.0, 10.0, 20.0, 50.0, 100.0)
 
 
 def errors_of(spark: SparkSession, spec: ProtocolSpec, sub: DataFrame, grid: list[float]) -> DataFrame:
-    mesh = PosteriorMesh(spark, spec, sub, max(grid))
-    return metrics.second_moment_errors(mesh.global_draws(grid, audit=True), sub, spec.d).withColumn("scheme", F.lit(spec.scheme))
+    return PosteriorMesh(spark, spec, sub, max(grid)).errors(grid).withColumn("scheme", F.lit(spec.scheme))
 
 
 def paper_errors(spark: SparkSession, k: int, r: int, runs: int = 50, grid=(1.0, 2.0, 5.0, 10.0), schemes=SCHEMES, **options) -> DataFrame:
@@ -42,6 +41,11 @@ def regression_rows(spark: SparkSession, sf_dir: str, shards: int) -> tuple[Data
     return rows, x, F.col("l_extendedprice") / 10000
 
 
+def fixed(sub: DataFrame) -> DataFrame:
+    """The subposteriors as a local table: a row of d² numbers for each shard, however many rows these have."""
+    return sub.sparkSession.createDataFrame(sub.collect(), sub.schema)
+
+
 def linear_regression(spark: SparkSession, sf_dir: str, shards: int = 5) -> DataFrame:
     rows, x, y = regression_rows(spark, sf_dir, shards)
     return models.linear_subposteriors(rows, x, y, shards)
@@ -49,7 +53,7 @@ def linear_regression(spark: SparkSession, sf_dir: str, shards: int = 5) -> Data
 
 def linear_errors(spark: SparkSession, sf_dir: str, k: int = 5, r: int = 2, grid=(1.0, 2.0, 5.0), runs: int = 1, ridge: float = 1e-12, **options) -> DataFrame:
     """The protocols on subposteriors that the rows of lineitem give."""
-    sub = linear_regression(spark, sf_dir, k).persist()
+    sub = fixed(linear_regression(spark, sf_dir, k))
     return reduce(DataFrame.unionByName, [errors_of(spark, ProtocolSpec(s, k, r, runs=runs, ridge=ridge, **options), sub, [float(t) for t in grid]) for s in SCHEMES])
 
 
@@ -97,11 +101,11 @@ def event_rates(spark: SparkSession, sf_dir: str, shards: int = 5) -> DataFrame:
 
 def event_rate_errors(spark: SparkSession, sf_dir: str, k: int = 5, r: int = 2, grid=(1.0, 2.0, 5.0), runs: int = 2, ridge: float = 1e-12) -> DataFrame:
     """The first two protocols on subposteriors that aren't Gaussian; the third one's start needs a warm-up of ten rounds."""
-    sub, times, each = event_rates(spark, sf_dir, k).persist(), [float(t) for t in grid], []
+    sub, times, each = fixed(event_rates(spark, sf_dir, k)), [float(t) for t in grid], []
     for scheme in SCHEMES:
         spec = ProtocolSpec(scheme, k, r, d=1, runs=runs, ridge=ridge, warmup=10 if scheme == "coded_sum" else 0)
-        got = PosteriorMesh(spark, spec, sub, max(times)).global_draws(times, audit=True)
-        each.append(metrics.rate_errors(got, sub).withColumn("scheme", F.lit(scheme)))
+        got = PosteriorMesh(spark, spec, sub, max(times)).global_draws(times)
+        each.append(metrics.every_run(metrics.rate_errors(got, sub), spark, runs, times).withColumn("scheme", F.lit(scheme)))
     return reduce(DataFrame.unionByName, each)
 
 

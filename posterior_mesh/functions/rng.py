@@ -29,16 +29,16 @@ def normal_sql(*keys: str, seed: int = 42) -> str:
     return f"(sqrt(-2 * ln({uniform_sql(chr(39) + 'a' + chr(39), *keys, seed=seed)})) * cos(2 * pi() * {uniform_sql(chr(39) + 'b' + chr(39), *keys, seed=seed)}))"
 
 
-#: Tries of a Gamma draw. One is refused with a chance under 0.05, so all of them are with one under 4e-11; the mode stands in then.
+#: Tries of a Gamma draw. One is refused with a chance under 0.05, so all of them are with one under 4e-11; the draw is null then and is refused.
 TRIES = 8
 
 
 def gamma_of(shape: Column, *keys: Column | str | int, seed: int = 42) -> Column:
-    """Gamma of scale 1 and a shape of 1 or more, by squeezing a cubed normal; each try has keys of its own.
+    """Gamma of scale 1, by squeezing a cubed normal; each try has keys of its own. Shapes under 1 take a draw of one more, times a power of a uniform.
 
     Tries are a fold that stops to compute once one fits, so that the expression holds the code of a single try.
     """
-    d = shape - 1 / 3
+    d = F.when(shape < 1, shape + 1).otherwise(shape) - 1 / 3
 
     def fitting(t: Column) -> Column:
         root = 1 + t["z"] / F.sqrt(9 * d)
@@ -51,21 +51,24 @@ def gamma_of(shape: Column, *keys: Column | str | int, seed: int = 42) -> Column
         return F.element_at(F.transform(F.array(drawn), fitting), 1)
 
     first = F.sequence(F.lit(1), F.lit(TRIES))
-    return F.coalesce(F.aggregate(first, F.lit(None).cast("double"), lambda got, k: F.coalesce(got, tried(k))), d)
+    whole = F.aggregate(first, F.lit(None).cast("double"), lambda got, k: F.coalesce(got, tried(k)))
+    whole = F.coalesce(whole, F.raise_error(F.lit("no try of a Gamma draw fitted: take another seed")).cast("double"))
+    return F.when(shape <= 0, F.raise_error(F.lit("a Gamma shape is over 0")).cast("double")).when(shape < 1, whole * F.pow(uniform_of(F.lit("p"), *keys, seed=seed), 1 / shape)).otherwise(whole)
 
 
 def beta_of(a: Column, b: Column, *keys: Column | str | int, seed: int = 42) -> Column:
-    """Beta of two shapes of 1 or more: the share of the first of two Gamma draws."""
+    """Beta of two shapes: the share of the first of two Gamma draws."""
     x, y = gamma_of(a, *keys, F.lit("x"), seed=seed), gamma_of(b, *keys, F.lit("y"), seed=seed)
     return x / (x + y)
 
 
 def gamma_sql(shape: str, *keys: str, seed: int = 42) -> str:
     """The same for DuckDB; ``shape`` is an SQL expression."""
-    d = f"({shape} - {1 / 3!r})"
+    d = f"((CASE WHEN {shape} < 1 THEN {shape} + 1 ELSE {shape} END) - {1 / 3!r})"
     whens = []
     for k in range(1, TRIES + 1):
         z = normal_sql(*keys, f"'g{k}'", seed=seed)
         v = f"pow(1 + {z} / sqrt(9 * {d}), 3)"
         whens.append(f"WHEN {v} > 0 AND ln({uniform_sql(chr(39) + 'c' + chr(39), *keys, f'{chr(39)}g{k}{chr(39)}', seed=seed)}) < {z} * {z} / 2 + {d} - {d} * {v} + {d} * ln(greatest({v}, 1e-300)) THEN {d} * {v}")
-    return f"(CASE {' '.join(whens)} ELSE {d} END)"
+    power = f"pow({uniform_sql(chr(39) + 'p' + chr(39), *keys, seed=seed)}, 1.0 / {shape})"
+    return f"((CASE {' '.join(whens)} END) * (CASE WHEN {shape} < 1 THEN {power} ELSE 1 END))"

@@ -32,12 +32,23 @@ class ParetoClock:
 
 @dataclass(frozen=True)
 class ExponentialClock:
+    """Batches take ``shift`` of their mean at least; without a shift their number has no bound."""
+
     unit_mean: float = 0.1
     shift: float = 0.0
 
     def time(self, u: Column, r) -> Column:
         return F.lit(self.unit_mean) * r * (F.lit(self.shift) - F.lit(1 - self.shift) * F.ln(u))
 
+    def rounds_needed(self, t_max: float, r: float) -> int:
+        """So many rounds aren't all done by t_max, but with a chance under 1e-12 for each worker (a Chernoff bound of a Poisson count)."""
+        mean = t_max / (self.unit_mean * r * (1 - self.shift)) if self.shift < 1 else 0.0
+        rounds = math.ceil(mean) + 1
+        while mean and rounds - mean - rounds * math.log(rounds / mean) > math.log(1e-12):
+            rounds = math.ceil(rounds * 1.02) + 1
+        most = math.floor(t_max / (self.unit_mean * r * self.shift) + 1e-9) if self.shift else rounds
+        return min(rounds, most)
+
 
 @dataclass(frozen=True)
 class ConstantClock:
@@ -46,6 +57,9 @@ class ConstantClock:
     def time(self, u: Column, r) -> Column:
         return F.lit(self.unit_mean) * r + 0 * u
 
+    def rounds_needed(self, t_max: float, r: float) -> int:
+        return math.floor(t_max / (self.unit_mean * r) + 1e-9)
+
 
 def batch_times(spark: SparkSession, k: int, r: int, rounds: int, runs: int = 1, law=None, seed: int = 42, alloc: DataFrame | None = None, tail_cost: str = "r") -> DataFrame:
     """run, worker, round, dt, done_at. ``tail_cost="held"`` charges a worker for the shards it holds, not for r."""
@@ -127,3 +141,26 @@ def ready_at(clock: DataFrame, scheme: str, k: int, r: int) -> DataFrame:
 def straggler_profile(clock: DataFrame) -> DataFrame:
     """run, round, gap between first and last arrival, and who is last."""
     return clock.groupBy("run", "round").agg((F.max("done_at") - F.min("done_at")).alias("gap"), F.max_by("worker", F.struct("done_at", "worker")).alias("last"))
+
+
+def mean_batch_time(clock: DataFrame) -> DataFrame:
+    """run, n, mean: how long a batch takes in the mean; the laws say unit_mean times the shards that are held."""
+    return clock.groupBy("run").agg(F.count("*").alias("n"), F.avg("dt").alias("mean"))
+
+
+def clock_check(clock: DataFrame, law: ParetoClock, r: float, times: tuple[float, ...] = (1.5, 2.0, 4.0, 8.0)) -> DataFrame:
+    """least, median, mean and, for each multiple of the scale, the share of batches that take longer, beside what the law says."""
+    scale = law.scale(r)
+    got = clock.agg(F.min("dt").alias("least"), F.percentile("dt", F.lit(0.5)).alias("median"), F.avg("dt").alias("mean"), *[F.avg((F.col("dt") > c * scale).cast("double")).alias(f"p{i}") for i, c in enumerate(times)])
+    said = [("least", scale), ("median", scale * 2 ** (1 / law.tail)), ("mean", law.unit_mean * r), *((f"longer_{c:g}", c**-law.tail) for c in times)]
+    names = ["least", "median", "mean", *(f"p{i}" for i in range(len(times)))]
+    each = F.array(*[F.struct(F.lit(n).alias("what"), F.col(c).alias("got"), F.lit(float(v)).alias("law")) for (n, v), c in zip(said, names)])
+    return got.select(F.explode(each).alias("x")).select("x.*")
+
+
+def timeline(clock: DataFrame, k: int, t: float) -> DataFrame:
+    """run, worker, n, begun, ended, blocked: each worker's batches by ``t``, and whether the next global draw without redundancy waits for it."""
+    done = clock.where(F.col("done_at") <= t).groupBy("run", "worker").agg(F.count("*").alias("n"), F.max("done_at").alias("ended"))
+    every = clock.select("run").distinct().withColumn("worker", F.explode(F.sequence(F.lit(1), F.lit(k))))
+    held = every.join(done, ["run", "worker"], "left").withColumn("n", F.coalesce("n", F.lit(0)))
+    return held.withColumn("blocked", F.col("n") == F.min("n").over(W.partitionBy("run")))

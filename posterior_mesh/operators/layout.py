@@ -30,7 +30,7 @@ def assign_shards(df: DataFrame, shards: int, order: list[str], mode: str = "exa
         raise ValueError(f"no such mode: {mode}")
     # range partitions keep the order; each row's rank is its place in its partition after the counts of those before
     placed = df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("_at", F.monotonically_increasing_id())
-    placed = placed.withColumn("_part", F.shiftright("_at", 33).cast("int")).persist()
+    placed = placed.withColumn("_part", F.shiftright("_at", 33).cast("int")).persist()  # bounds of ranges are sampled: both uses must see the same
     counts = placed.groupBy("_part").agg(F.count("*").alias("_n"))
     before = counts.withColumn("_before", F.sum("_n").over(W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)))
     rank = F.coalesce("_before", F.lit(0)) + F.col("_at").bitwiseAND(F.lit((1 << 33) - 1))

@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.linalg import covariance, spd_inverse
 from .coding import GradientCode
 from .models import exact_global
 
@@ -17,11 +18,30 @@ def second_moment_errors(globals_: DataFrame, sub: DataFrame, d: int, signed: bo
     return means.crossJoin(F.broadcast(truth)).select("run", "as_of", "rounds", (F.aggregate(F.zip_with("m", "truth", gap), F.lit(0.0), lambda a, x: a + x) / (d * d)).alias("err"))
 
 
+def every_run(errors: DataFrame, spark: SparkSession, runs: int, grid: list[float]) -> DataFrame:
+    """The errors with a row for each run and time: no draws and a null error where there was none."""
+    times = F.explode(F.array(*[F.lit(float(t)) for t in grid])).alias("as_of")
+    every = spark.range(1, runs + 1).select(F.col("id").cast("int").alias("run"), times)
+    return every.join(errors, ["run", "as_of"], "left").withColumn("rounds", F.coalesce("rounds", F.lit(0).cast("long")))
+
+
 def error_curve(errors: DataFrame, band: float = 0.15, sd: str = "sample", by: tuple[str, ...] = ()) -> DataFrame:
-    """as_of, mean_err, sd_err, lo, hi, mean_rounds over the runs; runs without a draw are left out of the mean."""
+    """as_of, mean_err, sd_err, lo, hi over the runs that have a draw, mean_rounds over all, runs, and runs_without a draw.
+
+    The protocols' means are of the same runs only where none is without.
+    """
     spread = F.coalesce(F.stddev_samp("err") if sd == "sample" else F.stddev_pop("err"), F.lit(0.0))
-    got = errors.groupBy(*by, "as_of").agg(F.avg("err").alias("mean_err"), spread.alias("sd_err"), F.avg("rounds").alias("mean_rounds"), F.count("*").alias("runs"))
-    return got.select(*by, "as_of", "mean_err", "sd_err", (F.col("mean_err") - band * F.col("sd_err")).alias("lo"), (F.col("mean_err") + band * F.col("sd_err")).alias("hi"), "mean_rounds", "runs")
+    got = errors.groupBy(*by, "as_of").agg(F.avg("err").alias("mean_err"), spread.alias("sd_err"), F.avg("rounds").alias("mean_rounds"), F.count("*").alias("runs"), F.count_if(F.col("err").isNull()).alias("runs_without"))
+    return got.select(*by, "as_of", "mean_err", "sd_err", (F.col("mean_err") - band * F.col("sd_err")).alias("lo"), (F.col("mean_err") + band * F.col("sd_err")).alias("hi"), "mean_rounds", "runs", "runs_without")
+
+
+def moment_error(moments: DataFrame, sub: DataFrame, d: int, ridge: float = 0.0) -> DataFrame:
+    """run, as_of, shard, n, cov_err: how far a shard's covariance of draws is from the exact one, relative (Frobenius)."""
+    got = moments.select("run", "as_of", "shard", "n", covariance(F.col("n"), F.col("s1"), F.col("s2"), ridge, d).alias("c"))
+    exact = sub.select("shard", spd_inverse("prec").alias("t"))
+    square = lambda c: F.aggregate(c, F.lit(0.0), lambda a, x: a + x * x)
+    gap = F.sqrt(square(F.zip_with("c", "t", lambda a, b: a - b)) / square(F.col("t")))
+    return got.join(F.broadcast(exact), "shard").select("run", "as_of", "shard", "n", gap.alias("cov_err"))
 
 
 def resilience(scheme: str, k: int, r: int, worst: bool = False) -> int:
@@ -53,7 +73,6 @@ def comm_cost(scheme: str, r: int, d: int) -> int:
 
 def precision_gap(phi: DataFrame, sub: DataFrame, d: int, ridge: float = 0.0, warmup: int = 0) -> DataFrame:
     """run, round, gap: how far the covariance of decoded sums is from the total precision, relative (Frobenius)."""
-    from ..functions.linalg import covariance
     from .protocols import prefix_moments
 
     held = prefix_moments(phi.where(F.col("round") > warmup), d, ("run",), "phi").select("run", "round", covariance(F.col("n"), F.col("s1"), F.col("s2"), ridge, d).alias("c"))

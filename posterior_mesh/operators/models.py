@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -14,41 +17,80 @@ def toeplitz_subposteriors(spark: SparkSession, k: int, d: int = 5) -> DataFrame
     return shards.select("shard", "rho", toeplitz_precision(F.col("rho"), d).alias("prec"), F.array(*[F.lit(0.0)] * d).alias("info"))
 
 
+def every_shard(got: DataFrame, shards: int) -> DataFrame:
+    """The sums with a row of nulls for each shard without rows: its subposterior is its share of the prior."""
+    return got.sparkSession.range(1, shards + 1).selectExpr("CAST(id AS int) AS shard").join(got, "shard", "left").withColumn("n", F.coalesce("n", F.lit(0).cast("long")))
+
+
+def complete(obs: DataFrame, columns: list[Column]) -> DataFrame:
+    """The rows without a null among these."""
+    return obs.where(reduce(Column.__and__, [c.isNotNull() for c in columns]))
+
+
+def dropped_rows(obs: DataFrame, columns: list[Column]) -> DataFrame:
+    """shard, n, dropped: rows, and those that the models leave out for a null."""
+    null = reduce(Column.__or__, [c.isNull() for c in columns])
+    return obs.groupBy("shard").agg(F.count("*").alias("n"), F.count_if(null).alias("dropped"))
+
+
 def linear_subposteriors(obs: DataFrame, x: list[Column], y: Column, shards: int, noise_var: float = 1.0, prior_prec: float = 1.0) -> DataFrame:
-    """shard, n, prec, info of a Gaussian regression: one pass, partial sums, d² numbers a shard."""
+    """shard, n, prec, info of a Gaussian regression: one pass, partial sums, d² numbers a shard. Rows with a null don't count at all."""
     d = len(x)
     sums = [F.sum(x[i] * x[j]) for i in range(d) for j in range(i, d)]
     at = {p: k for k, p in enumerate((i, j) for i in range(d) for j in range(i, d))}
-    got = obs.groupBy("shard").agg(F.count("*").alias("n"), F.array(*sums).alias("xx"), F.array(*[F.sum(v * y) for v in x]).alias("xy"))
-    prec = F.array(*[F.col("xx")[at[min(i, j), max(i, j)]] / noise_var + (prior_prec / shards if i == j else 0.0) for i in range(d) for j in range(d)])
-    return got.select("shard", "n", prec.alias("prec"), F.transform("xy", lambda v: v / noise_var).alias("info"))
+    got = every_shard(complete(obs, [*x, y]).groupBy("shard").agg(F.count("*").alias("n"), F.array(*sums).alias("xx"), F.array(*[F.sum(v * y) for v in x]).alias("xy")), shards)
+    none = F.lit(0.0)
+    prec = F.array(*[F.coalesce(F.col("xx")[at[min(i, j), max(i, j)]], none) / noise_var + (prior_prec / shards if i == j else 0.0) for i in range(d) for j in range(d)])
+    return got.select("shard", "n", prec.alias("prec"), F.array(*[F.coalesce(F.col("xy")[i], none) / noise_var for i in range(d)]).alias("info"))
 
 
-def gaussian_mean(obs: DataFrame, x: list[Column], shards: int, noise_var: float = 1.0, prior_prec: float = 1.0) -> DataFrame:
-    """shard, n, prec (of each coordinate), info: the mean of Gaussians of known variance."""
-    got = obs.groupBy("shard").agg(F.count("*").alias("n"), F.array(*[F.sum(v) for v in x]).alias("s"))
-    return got.select("shard", "n", (F.col("n") / noise_var + prior_prec / shards).alias("prec"), F.transform("s", lambda v: v / noise_var).alias("info"))
+def gaussian_mean(obs: DataFrame, x: list[Column], shards: int, noise_var: float | list[list[float]] = 1.0, prior_prec: float = 1.0) -> DataFrame:
+    """shard, n, prec, info: the mean of Gaussians of a known variance, alike and independent or given as a covariance matrix."""
+    d = len(x)
+    known = np.linalg.inv(np.asarray(noise_var, float)) if np.ndim(noise_var) else np.eye(d) / noise_var
+    got = every_shard(complete(obs, x).groupBy("shard").agg(F.count("*").alias("n"), F.array(*[F.sum(v) for v in x]).alias("s")), shards)
+    prec = F.array(*[F.col("n") * float(known[i, j]) + (prior_prec / shards if i == j else 0.0) for i in range(d) for j in range(d)])
+    total = [F.coalesce(F.col("s")[j], F.lit(0.0)) for j in range(d)]
+    used = [[j for j in range(d) if known[i, j]] for i in range(d)]
+    info = F.array(*[sum((total[j] * float(known[i, j]) for j in used[i][1:]), total[used[i][0]] * float(known[i, used[i][0]])) for i in range(d)])
+    return got.select("shard", "n", prec.alias("prec"), info.alias("info"))
+
+
+def of_all(got: DataFrame, shards: int, by: tuple[str, ...]) -> DataFrame:
+    """Counts and sums for every shard, and for every value of ``by`` that any shard has; 0 where there are no rows."""
+    if by:
+        names = got.select(*by).distinct()
+        every = got.sparkSession.range(1, shards + 1).selectExpr("CAST(id AS int) AS shard").crossJoin(F.broadcast(names))
+        alike = [F.col(f"a.{c}").eqNullSafe(F.col(f"b.{c}")) for c in ("shard", *by)]
+        rest = [c for c in got.columns if c not in ("shard", *by)]
+        got = every.alias("a").join(got.alias("b"), reduce(Column.__and__, alike), "left").select("a.shard", *[f"a.{c}" for c in by], *[f"b.{c}" for c in rest])
+        return got.fillna(0, rest)
+    got = every_shard(got, shards)
+    return got.fillna(0, [c for c in got.columns if c != "shard"])
 
 
 def exponential_rate(obs: DataFrame, x: Column, shards: int, a: float = 1.0, b: float = 1.0, by: tuple[str, ...] = ()) -> DataFrame:
-    """shape and rate of Gamma subposteriors of an exponential rate."""
-    return obs.groupBy("shard", *by).agg(F.count("*").alias("n"), F.sum(x).alias("s")).select("shard", *by, "n", (1 + (a - 1) / shards + F.col("n")).alias("shape"), (b / shards + F.col("s")).alias("rate"))
+    """shape and rate of Gamma subposteriors of an exponential rate; nulls don't count."""
+    got = of_all(complete(obs, [x]).groupBy("shard", *by).agg(F.count("*").alias("n"), F.sum(x).alias("s")), shards, by)
+    return got.select("shard", *by, "n", (1 + (a - 1) / shards + F.col("n")).alias("shape"), (b / shards + F.col("s")).alias("rate"))
 
 
 def bernoulli_share(obs: DataFrame, success: Column, shards: int, a: float = 1.0, b: float = 1.0, by: tuple[str, ...] = ()) -> DataFrame:
-    """Two shapes of Beta subposteriors of a share."""
-    got = obs.groupBy("shard", *by).agg(F.count("*").alias("n"), F.count_if(success).alias("s"))
+    """Two shapes of Beta subposteriors of a share; nulls don't count."""
+    got = of_all(complete(obs, [success]).groupBy("shard", *by).agg(F.count("*").alias("n"), F.count_if(success).alias("s")), shards, by)
     return got.select("shard", *by, "n", (1 + (a - 1) / shards + F.col("s")).alias("alpha"), (1 + (b - 1) / shards + F.col("n") - F.col("s")).alias("beta"))
 
 
 def poisson_rate(obs: DataFrame, count: Column, shards: int, a: float = 1.0, b: float = 1.0) -> DataFrame:
-    """shape and rate of Gamma subposteriors of a Poisson mean."""
-    return obs.groupBy("shard").agg(F.count("*").alias("n"), F.sum(count).alias("s")).select("shard", "n", (1 + (a - 1) / shards + F.col("s")).alias("shape"), (b / shards + F.col("n")).alias("rate"))
+    """shape and rate of Gamma subposteriors of a Poisson mean; nulls don't count."""
+    got = of_all(complete(obs, [count]).groupBy("shard").agg(F.count("*").alias("n"), F.sum(count).alias("s")), shards, ())
+    return got.select("shard", "n", (1 + (a - 1) / shards + F.col("s")).alias("shape"), (b / shards + F.col("n")).alias("rate"))
 
 
 def category_shares(obs: DataFrame, value: Column, shards: int, a: float = 1.0) -> DataFrame:
-    """Concentrations of Dirichlet subposteriors, by shard and category."""
-    return obs.groupBy("shard", value.alias("category")).agg(F.count("*").alias("n")).select("shard", "category", "n", (1 + (a - 1) / shards + F.col("n")).alias("alpha"))
+    """Concentrations of Dirichlet subposteriors, for every shard and every category that any shard has; null is a category."""
+    got = of_all(obs.groupBy("shard", value.alias("category")).agg(F.count("*").alias("n")), shards, ("category",))
+    return got.select("shard", "category", "n", (1 + (a - 1) / shards + F.col("n")).alias("alpha"))
 
 
 def exact_global(sub: DataFrame, d: int) -> DataFrame:

@@ -14,7 +14,7 @@ from .operators.clock import arrival_patterns, batch_times, group_sequence, read
 from .operators.coding import PINNED_5_2, GradientCode
 from .operators.draws import draws, share_draws
 from .operators.layout import allocation, assign_shards, worker_storage
-from .operators.protocols import PosteriorMesh, ProtocolSpec, arrivals, shard_moments
+from .operators.protocols import PosteriorMesh, ProtocolSpec
 from .sources.tables import load
 from .streaming.server import rounds_of, worker_moments
 
@@ -159,8 +159,7 @@ query("costs", "SELECT CAST(k AS INTEGER) AS k, CAST(r AS INTEGER) AS r, scheme,
 
 def moments_query(s: SparkSession, d: str) -> DataFrame:
     mesh = PosteriorMesh(s, ProtocolSpec("one_shot", 5), models.toeplitz_subposteriors(s, 5), 2.0)
-    got = shard_moments(arrivals(mesh.draws, mesh.clock, mesh.spec), [1.0, 2.0], 5)
-    return rounded(got.select("as_of", "shard", "n", F.col("s1")[0].alias("s1"), F.col("s2")[0].alias("s11")))
+    return rounded(mesh.moments([1.0, 2.0]).select("as_of", "shard", "n", F.col("s1")[0].alias("s1"), F.col("s2")[0].alias("s11")))
 
 
 query("shard_moments", f"""WITH {clock_sql(5, 1, 120)}, x AS (SELECT worker, done_at, {normal_sql('1', 'worker', 'worker', 'round', '1')} AS v FROM clock)

@@ -97,7 +97,7 @@ def test_redundancy_one_is_the_baseline(spark):
 
 def test_decoding_gives_the_direct_sum_and_literal_start(spark):
     mesh = PosteriorMesh(spark, ProtocolSpec("coded_sum", 5, 2, d=2, ridge=0.5), models.toeplitz_subposteriors(spark, 5, 2), 1.0)
-    audited, direct = ({r["round"]: r["phi"] for r in mesh.decoded(a).collect()} for a in (True, False))
+    audited, direct = ({r["round"]: r["phi"] for r in sums.collect()} for sums in (mesh.decoded(), mesh.direct_sums()))
     assert audited.keys() <= direct.keys() and len(audited) > 3
     assert all(np.allclose(v, direct[k]) for k, v in audited.items())
     x, _ = collected(mesh)
