@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from .operators import metrics, models
 from .operators.metropolis import logistic_draws
-from .operators.clock import trace_clock
+from .operators.clock import ParetoClock, batch_times, clock_check, timeline, trace_clock
 from .operators.protocols import PosteriorMesh, ProtocolSpec
 from .sources.tables import load
 
@@ -18,8 +18,8 @@ SCHEMES = ("one_shot", "replica_group", "coded_sum")
 RUNS, GRID = 50, (1.0, 2.0, 5.0, 10.0, 20.0, 50.0, 100.0)
 
 
-def errors_of(spark: SparkSession, spec: ProtocolSpec, sub: DataFrame, grid: list[float]) -> DataFrame:
-    return PosteriorMesh(spark, spec, sub, max(grid)).errors(grid).withColumn("scheme", F.lit(spec.scheme))
+def errors_of(spark: SparkSession, spec: ProtocolSpec, sub: DataFrame, grid: list[float], signed: bool = True) -> DataFrame:
+    return PosteriorMesh(spark, spec, sub, max(grid)).errors(grid, signed).withColumn("scheme", F.lit(spec.scheme))
 
 
 def paper_errors(spark: SparkSession, k: int, r: int, runs: int = 50, grid=(1.0, 2.0, 5.0, 10.0), schemes=SCHEMES, **options) -> DataFrame:
@@ -100,10 +100,10 @@ def event_rates(spark: SparkSession, sf_dir: str, shards: int = 5) -> DataFrame:
 
 
 def event_rate_errors(spark: SparkSession, sf_dir: str, k: int = 5, r: int = 2, grid=(1.0, 2.0, 5.0), runs: int = 2, ridge: float = 1e-12) -> DataFrame:
-    """The first two protocols on subposteriors that aren't Gaussian; the third one's start needs a warm-up of ten rounds."""
+    """The protocols on subposteriors that aren't Gaussian; the third one leaves ten rounds out and weighs all with the newest total."""
     sub, times, each = fixed(event_rates(spark, sf_dir, k)), [float(t) for t in grid], []
     for scheme in SCHEMES:
-        spec = ProtocolSpec(scheme, k, r, d=1, runs=runs, ridge=ridge, warmup=10 if scheme == "coded_sum" else 0)
+        spec = ProtocolSpec(scheme, k, r, d=1, runs=runs, ridge=ridge, warmup=10 if scheme == "coded_sum" else 0, recompute=scheme == "coded_sum")
         got = PosteriorMesh(spark, spec, sub, max(times)).global_draws(times)
         each.append(metrics.every_run(metrics.rate_errors(got, sub), spark, runs, times).withColumn("scheme", F.lit(scheme)))
     return reduce(DataFrame.unionByName, each)
@@ -119,9 +119,54 @@ def logistic_chain(spark: SparkSession, sf_dir: str, shards: int = 5, rounds: in
     return logistic_draws(returned_rows(spark, sf_dir, shards), 3, shards, rounds)
 
 
+def by_id(spark: SparkSession, sf_dir: str, table: str, key: str, shards: int) -> DataFrame:
+    return load(spark, sf_dir, table).withColumn("shard", (F.pmod(key, F.lit(shards)) + 1).cast("int"))
+
+
+def gaussian_errors(spark: SparkSession, sf_dir: str, table: str, key: str, columns, k: int = 5, r: int = 2, grid=(1.0, 2.0, 5.0), runs: int = RUNS, ridge: float = 1e-12, **options) -> DataFrame:
+    """The three protocols on subposteriors of the mean of some columns; the third one leaves ten rounds out and weighs all with the newest total."""
+    sub = fixed(models.gaussian_mean(by_id(spark, sf_dir, table, key, k), columns, k))
+    specs = [ProtocolSpec(s, k, r, d=len(columns), runs=runs, ridge=ridge, warmup=10 if s == "coded_sum" else 0, recompute=s == "coded_sum", **options) for s in SCHEMES]
+    return reduce(DataFrame.unionByName, [errors_of(spark, spec, sub, [float(t) for t in grid], signed=False) for spec in specs])
+
+
+def embedding_errors(spark: SparkSession, sf_dir: str, d: int = 4, **options) -> DataFrame:
+    return gaussian_errors(spark, sf_dir, "embeddings", "vec_id", [F.col("embedding")[i].cast("double") for i in range(d)], **options)
+
+
+def length_errors(spark: SparkSession, sf_dir: str, table: str = "documents", key: str = "doc_id", text: str = "text", **options) -> DataFrame:
+    return gaussian_errors(spark, sf_dir, table, key, [F.ln(1 + F.length(text)), F.lit(1.0)], **options)
+
+
+def share_errors(spark: SparkSession, sf_dir: str, label: str = "quality", k: int = 5, r: int = 2, grid=(1.0, 2.0, 5.0), runs: int = RUNS, ridge: float = 1e-12) -> DataFrame:
+    """The first two protocols on Beta subposteriors of the share of labelled documents: errors of the mean share."""
+    sub = fixed(models.bernoulli_share(by_id(spark, sf_dir, "labels", "doc_id", k), F.col(label) == 1, k))
+    times, each = [float(t) for t in grid], []
+    for scheme in SCHEMES[:2]:
+        got = PosteriorMesh(spark, ProtocolSpec(scheme, k, r, d=1, runs=runs, ridge=ridge), sub, max(times)).global_draws(times)
+        each.append(metrics.every_run(metrics.share_errors(got, sub), spark, runs, times).withColumn("scheme", F.lit(scheme)))
+    return reduce(DataFrame.unionByName, each)
+
+
+def streamed_rounds(spark: SparkSession, sf_dir: str, k: int = 5, r: int = 2, scheme: str = "replica_group", checkpoint: str | None = None) -> DataFrame:
+    """rounds that the events allow, as a stream that reads the table's files gives them; equal to the batch answer over the same rows."""
+    import uuid
+
+    from .streaming.server import read_arrivals, rounds_of, run_to_table
+
+    name = f"rounds_{uuid.uuid4().hex[:12]}"
+    schema = load(spark, sf_dir, "events").select("ts", "user_id", "value").schema
+    run_to_table(read_arrivals(spark, f"{sf_dir}/events.parquet*", schema), k, name, checkpoint)
+    return rounds_of(spark.table(name), scheme, k, r)
+
+
 WORKLOADS = {
     "W1": lambda s, d, **o: paper_curves(s, 5, 2, **o), "W2": lambda s, d, **o: paper_curves(s, 40, 2, **o), "W3": lambda s, d, **o: paper_curves(s, 40, 4, **o),
-    "W5": lambda s, d, **o: crossover(s, **o), "W7": linear_errors, "W9": event_rate_errors, "W11": lambda s, d, k=5: event_clock(s, d, k), "logistic": logistic_chain,
+    "W4": lambda s, d, k=3, t=4.0, **o: timeline(batch_times(s, k, 1, 100, **o), k, t),
+    "W5": lambda s, d, **o: crossover(s, **o),
+    "W6": lambda s, d, k=5, r=2, rounds=1000: clock_check(batch_times(s, k, r, rounds), ParetoClock(), r),
+    "W7": linear_errors, "W8": embedding_errors, "W9": event_rate_errors, "W10": share_errors, "W11": lambda s, d, k=5: event_clock(s, d, k), "W12": streamed_rounds,
+    "W16": length_errors, "W18": lambda s, d, **o: length_errors(s, d, "pages", "page_id", "html", **o), "logistic": logistic_chain,
 }
 
 

@@ -34,6 +34,20 @@ def covariance(n: Column, s1: Column, s2: Column, ridge: float, d: int) -> Colum
     return F.array(*[s2[i * d + j] / n - s1[i] * s1[j] / (n * n) + (ridge if i == j else 0.0) for i in range(d) for j in range(d)])
 
 
+def steady(solve, otherwise, *stacks: np.ndarray) -> np.ndarray:
+    """All matrices of a stack at once; where one is singular to working precision, each of its own, by the pseudo-inverse if need be."""
+    try:
+        return solve(*stacks)
+    except np.linalg.LinAlgError:
+        out = []
+        for one in zip(*stacks):
+            try:
+                out.append(solve(*one))
+            except np.linalg.LinAlgError:
+                out.append(otherwise(*one))
+        return np.stack(out)
+
+
 @F.pandas_udf(VECTOR)
 def spd_inverse(m: pd.Series) -> pd.Series:
     """Inverse of a symmetric positive definite matrix; null stays null."""
@@ -42,7 +56,7 @@ def spd_inverse(m: pd.Series) -> pd.Series:
     if kept:
         flat = np.stack([np.asarray(m.iloc[i], float) for i in kept])
         d = round(flat.shape[1] ** 0.5)
-        inverse = np.linalg.inv(flat.reshape(-1, d, d))
+        inverse = steady(np.linalg.inv, np.linalg.pinv, flat.reshape(-1, d, d))
         for i, x in zip(kept, (inverse + inverse.transpose(0, 2, 1)) / 2):
             out[i] = x.ravel()
     return pd.Series(out)
@@ -55,7 +69,8 @@ def spd_solve(m: pd.Series, b: pd.Series) -> pd.Series:
         return pd.Series([], dtype=object)
     right = np.stack(b.to_numpy())
     d = right.shape[1]
-    return pd.Series(list(np.linalg.solve(np.stack(m.to_numpy()).reshape(-1, d, d), right[:, :, None])[:, :, 0]))
+    left = np.stack(m.to_numpy()).reshape(-1, d, d)
+    return pd.Series(list(steady(np.linalg.solve, lambda a, b: np.linalg.pinv(a) @ b, left, right[:, :, None])[:, :, 0]))
 
 
 @F.pandas_udf(VECTOR)

@@ -101,6 +101,18 @@ def rate_errors(globals_: DataFrame, sub: DataFrame) -> DataFrame:
     return means.crossJoin(F.broadcast(truth)).select("run", "as_of", "rounds", F.try_divide(F.abs(F.col("m") - F.col("truth")), F.col("truth")).alias("err"))
 
 
+def share_errors(globals_: DataFrame, sub: DataFrame) -> DataFrame:
+    """run, as_of, rounds, err: relative gap of the mean global draw of a Beta posterior to its true mean.
+
+    Weighted means of Beta draws aren't draws of the product, whose mean they approach as the shards grow.
+    """
+    from .models import exact_share
+
+    means = globals_.groupBy("run", "as_of").agg(F.count("*").alias("rounds"), F.avg(F.col("x")[0]).alias("m"))
+    truth = exact_share(sub).select((F.col("alpha") / (F.col("alpha") + F.col("beta"))).alias("truth"))
+    return means.crossJoin(F.broadcast(truth)).select("run", "as_of", "rounds", F.try_divide(F.abs(F.col("m") - F.col("truth")), F.col("truth")).alias("err"))
+
+
 def curve_quantiles(errors: DataFrame, qs: tuple[float, ...] = (0.05, 0.5, 0.95), by: tuple[str, ...] = ("scheme",)) -> DataFrame:
     """as_of and exact quantiles of the error over runs."""
     names = [f"q{round(100 * q):02d}" for q in qs]

@@ -49,7 +49,10 @@ def gaussian_mean(obs: DataFrame, x: list[Column], shards: int, noise_var: float
     d = len(x)
     known = np.linalg.inv(np.asarray(noise_var, float)) if np.ndim(noise_var) else np.eye(d) / noise_var
     got = every_shard(complete(obs, x).groupBy("shard").agg(F.count("*").alias("n"), F.array(*[F.sum(v) for v in x]).alias("s")), shards)
-    prec = F.array(*[F.col("n") * float(known[i, j]) + (prior_prec / shards if i == j else 0.0) for i in range(d) for j in range(d)])
+    if np.ndim(noise_var):
+        prec = F.array(*[F.col("n") * float(known[i, j]) + (prior_prec / shards if i == j else 0.0) for i in range(d) for j in range(d)])
+    else:  # one expression for all places, however many
+        prec = F.transform(F.sequence(F.lit(0), F.lit(d * d - 1)), lambda i: F.when(i % (d + 1) == 0, F.col("n") / noise_var + prior_prec / shards).otherwise(F.lit(0.0)))
     total = [F.coalesce(F.col("s")[j], F.lit(0.0)) for j in range(d)]
     used = [[j for j in range(d) if known[i, j]] for i in range(d)]
     info = F.array(*[sum((total[j] * float(known[i, j]) for j in used[i][1:]), total[used[i][0]] * float(known[i, used[i][0]])) for i in range(d)])

@@ -233,11 +233,11 @@ class PosteriorMesh:
             return coded_draws(self.decoded(), ready, self.spec)
         return combined(self.arrivals(), shard_precisions(self.moments(grid), self.spec, self.subposteriors), ready, self.spec)
 
-    def errors(self, grid: list[float]) -> DataFrame:
-        """run, as_of, rounds, err: a row for each run and time; err is null where no draw was ready."""
+    def errors(self, grid: list[float], signed: bool = True) -> DataFrame:
+        """run, as_of, rounds, err: a row for each run and time; err is null where no draw was ready. ``signed``: gaps are divided by the truth, not by its size."""
         from .metrics import every_run, second_moment_errors
 
-        return every_run(second_moment_errors(self.global_draws(grid), self.subposteriors, self.spec.d), self.spark, self.spec.runs, grid)
+        return every_run(second_moment_errors(self.global_draws(grid), self.subposteriors, self.spec.d, signed), self.spark, self.spec.runs, grid)
 
     def curve(self, grid: list[float]) -> DataFrame:
         from .metrics import error_curve

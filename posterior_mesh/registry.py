@@ -7,6 +7,7 @@ from functools import partial
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import core_queries
 from . import experiments as ex
 from .functions.rng import gamma_of, gamma_sql, normal_of, normal_sql, uniform_of, uniform_sql
 from .operators import metrics, models
@@ -16,7 +17,6 @@ from .operators.draws import draws, share_draws
 from .operators.layout import allocation, assign_shards, worker_storage
 from .operators.protocols import PosteriorMesh, ProtocolSpec
 from .sources.tables import load
-from .streaming.server import rounds_of, worker_moments
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -105,7 +105,6 @@ for _k in (5, 40):
     query(f"toeplitz_precision_{_k}", f"""SELECT CAST(s.range AS INTEGER) AS shard, CAST(a.range AS INTEGER) AS i, CAST(b.range AS INTEGER) AS j, round(CASE WHEN a.range = b.range THEN (CASE WHEN a.range IN (1, 5) THEN 1 ELSE 1 + rho * rho END) / (1 - rho * rho)
       WHEN abs(a.range - b.range) = 1 THEN -rho / (1 - rho * rho) ELSE 0 END, 6) + 0.0 AS v FROM (SELECT range, (range - 1) / {float(_k)} AS rho FROM range(1, {_k + 1})) s, range(1, 6) a, range(1, 6) b""")(
         lambda s, d, k=_k: rounded(cells(models.toeplitz_subposteriors(s, k), "prec", 5, "shard")))
-    QUERIES[f"exact_posterior_{_k}"] = lambda s, d, k=_k: rounded(cells(models.exact_global(models.toeplitz_subposteriors(s, k), 5), "cov", 5))
 
 AR = "z1 AS v1, rho * z1 + s * z2 AS v2"
 query("gaussian_draws", f"""WITH b AS (SELECT CAST(a.range AS INTEGER) AS shard, CAST(l.range AS INTEGER) AS round, (a.range - 1) / 5.0 AS rho, {', '.join(normal_sql('1', 'CAST(a.range AS INTEGER)', 'CAST(a.range AS INTEGER)', 'l.range', str(i)) + f' AS z{i}' for i in range(1, 6))} FROM range(1, 6) a, range(1, 101) l),
@@ -142,7 +141,8 @@ for _k, _r in ((5, 2), (40, 2), (40, 4)):
     _w = f"WITH {EVENTS.format(k=_k)}, g AS (SELECT unnest({DAYS}) AS as_of), v AS (SELECT range AS worker FROM range(1, {_k + 1})), w AS (SELECT v.worker, as_of, count(done_at) AS n FROM v CROSS JOIN g LEFT JOIN clock ON clock.worker = v.worker AND done_at <= as_of GROUP BY ALL)"
     for _scheme, _sql in (("one_shot", "SELECT as_of, min(n) AS rounds FROM w GROUP BY 1"), ("replica_group", f"SELECT as_of, CAST(min(n) AS BIGINT) AS rounds FROM (SELECT as_of, (worker - 1) // {_r} AS g, sum(n) AS n FROM w GROUP BY ALL) GROUP BY 1"), ("coded_sum", f"SELECT as_of, list_sort(list(n))[{_r}] AS rounds FROM w GROUP BY 1")):
         query(f"events_ready_{_scheme}_{_k}_{_r}", f"{_w} {_sql}")(lambda s, d, k=_k, r=_r, scheme=_scheme: ready_rounds(ex.event_clock(s, d, k), scheme, k, r, DAYS).select("as_of", "rounds"))
-    QUERIES[f"events_collector_{_k}_{_r}"] = lambda s, d, k=_k, r=_r: rounds_of(worker_moments(load(s, d, "events").select("ts", "user_id", "value"), k), "replica_group", k, r)
+    query(f"events_stream_{_k}_{_r}", f"WITH {EVENTS.format(k=_k)} SELECT CAST(min(n) AS BIGINT) AS rounds FROM (SELECT (worker - 1) // {_r} AS g, count(*) AS n FROM clock GROUP BY 1)")(
+        lambda s, d, k=_k, r=_r: ex.streamed_rounds(s, d, k, r).select(F.col("rounds").cast("long").alias("rounds")))
 
 # codes
 TOTALS = "SELECT CAST(count(*) AS DOUBLE) AS n, round(sum(o_totalprice), 2) AS total FROM orders"
@@ -232,3 +232,12 @@ def trace_query(s: SparkSession, d: str) -> DataFrame:
 
 query("virtual_cluster", f"WITH {clock_sql(5, 2, 100)} SELECT run, worker, round, round(dt, 6) AS dt, round(done_at, 6) AS done_at FROM clock")(cluster_query)
 query("latency_trace", f"WITH {clock_sql(5, 2, 100)} SELECT worker, round, round(dt, 6) AS dt, round(done_at, 6) AS done_at FROM clock")(trace_query)
+
+# the protocols on the given tables
+QUERIES["embedding_errors"] = lambda s, d: rounded(ex.embedding_errors(s, d))
+QUERIES["length_errors"] = lambda s, d: rounded(ex.length_errors(s, d))
+QUERIES["page_length_errors"] = lambda s, d: rounded(ex.length_errors(s, d, "pages", "page_id", "html"))
+QUERIES["quality_share_errors"] = lambda s, d: rounded(ex.share_errors(s, d))
+
+QUERIES |= core_queries.QUERIES
+ORACLES |= core_queries.ORACLES

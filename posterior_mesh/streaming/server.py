@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
-def read_arrivals(spark: SparkSession, path: str, schema: str, max_files: int = 1) -> DataFrame:
+def read_arrivals(spark: SparkSession, path: str, schema, max_files: int = 1) -> DataFrame:
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", max_files).parquet(path)
 
 
@@ -33,8 +33,9 @@ def rounds_of(moments: DataFrame, scheme: str, k: int, r: int) -> DataFrame:
     return each.agg(F.when(F.count("*") == k, F.min("n")).otherwise(0).alias("rounds"))
 
 
-def run_to_table(arrivals: DataFrame, k: int, name: str, checkpoint: str):
-    """All there is, into an in-memory table (tests); returns the query when it has ended."""
-    query = worker_moments(arrivals, k).writeStream.outputMode("complete").format("memory").queryName(name).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+def run_to_table(arrivals: DataFrame, k: int, name: str, checkpoint: str | None = None):
+    """All there is, into an in-memory table of a row for each worker; returns the query when it has ended. Without a folder, Spark chooses one."""
+    writer = worker_moments(arrivals, k).writeStream.outputMode("complete").format("memory").queryName(name).trigger(availableNow=True)
+    query = (writer.option("checkpointLocation", checkpoint) if checkpoint else writer).start()
     query.awaitTermination()
     return query
