@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import cut, load, mix, sift, slices, utf8
+from .common import cut, forget, load, marked, mix, sift, slices, utf8
 
 LEAST, GRAM = 400, 32
 #: Bytes of contexts in one suffix array, and contexts of one anchor in one task, at most.
@@ -33,6 +33,8 @@ ARRAY_BYTES, PART = 2 << 20, 2000
 RANGES = 16
 #: Words of the shortest passage that the pipeline's stage cuts out, besides strings of LEAST bytes: over 50.
 PASSAGE = 51
+#: Bytes of the shortest passage that the report of strings of LEAST bytes also tells, by its words.
+FINE = 250
 
 SPACE = np.zeros(256, bool)
 SPACE[[32, 9, 10, 11, 12, 13]] = True
@@ -94,6 +96,14 @@ def anchors(data: np.ndarray, offsets: np.ndarray, least: int, gram: int = GRAM)
     return place, hashes[place]
 
 
+def different(hashes: np.ndarray, low: np.ndarray, high: np.ndarray) -> np.ndarray:
+    """Which of the anchors aren't of a hash and a context that one before them has; a context doesn't repeat itself."""
+    order = np.lexsort((high, low, hashes))
+    new = np.ones(len(order), bool)
+    new[1:] = np.any([x[order[1:]] != x[order[:-1]] for x in (hashes, low, high)], axis=0) if len(order) > 1 else True
+    return np.sort(order[new])
+
+
 def words_in(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Where the words of the joined texts begin and end."""
     inside = ~SPACE[data]
@@ -156,20 +166,24 @@ def short_digest(raw: bytes) -> int:
     return int.from_bytes(hashlib.blake2b(raw, digest_size=8).digest(), "little")
 
 
-def anchor_table(docs: DataFrame, least: int, words: int = 0) -> DataFrame:
+def anchor_table(docs: DataFrame, least: int, words: int = 0, fine: int = 0) -> DataFrame:
     """digest, n, copies, and of each different text the hashes of anchors, hashes of their contexts, and where these begin and end."""
     if words:
         return word_anchor_table(docs, words)
-    side = least - GRAM
+    fine = fine or least
+    # the window in the middle of a string holds an anchor, from which no end of the string is farther than this
+    side = -((fine - least) // 2) + fine - GRAM
     count = (2 * side + GRAM) // 8
 
     def run(batches):
         with np.errstate(over="ignore"):
             for batch in slices(batches):
                 data, offsets = utf8(batch.column(0))
-                place, hashes = anchors(data, offsets, least)
+                place, hashes = anchors(data, offsets, fine)
                 text = np.searchsorted(offsets, place, "right") - 1
                 low, high = np.maximum(place - side, offsets[text]), np.minimum(place + GRAM + side, offsets[text + 1])
+                own = different(hashes, low, high)
+                place, hashes, text, low, high = (x[own] for x in (place, hashes, text, low, high))
                 context = np.zeros(len(place), np.uint64)
                 whole = np.flatnonzero(high - low == 2 * side + GRAM)
                 words = words_at(np.concatenate((data, np.zeros(8, np.uint8))))
@@ -182,7 +196,7 @@ def anchor_table(docs: DataFrame, least: int, words: int = 0) -> DataFrame:
                 first = np.searchsorted(text, np.arange(len(offsets)))
                 lists = [pa.ListArray.from_arrays(pa.array(first, pa.int32()), pa.array(x)) for x in (hashes.view(np.int64), context.view(np.int64), (low - offsets[text]).astype(np.int32), (high - offsets[text]).astype(np.int32))]
                 digests = [hashlib.md5(data[a:b].tobytes()).digest() for a, b in zip(offsets[:-1], offsets[1:])]
-                yield pa.RecordBatch.from_arrays([pa.array(digests, pa.binary()), pa.array(np.diff(offsets)), *lists], ["digest", "n", "h", "c", "low", "high"]).filter(pa.array(np.diff(offsets) >= least))
+                yield pa.RecordBatch.from_arrays([pa.array(digests, pa.binary()), pa.array(np.diff(offsets)), *lists], ["digest", "n", "h", "c", "low", "high"]).filter(pa.array(np.diff(offsets) >= fine))
 
     return table_of(docs, run)
 
@@ -198,6 +212,8 @@ def word_anchor_table(docs: DataFrame, words: int) -> DataFrame:
             for batch in slices(batches):
                 data, offsets = utf8(batch.column(0))
                 hashes, text, low, high = word_anchors(data, offsets, words)
+                own = different(hashes, low, high)
+                hashes, text, low, high = (x[own] for x in (hashes, text, low, high))
                 raw = data.tobytes()
                 context = np.array([short_digest(raw[a:b]) for a, b in zip(low.tolist(), high.tolist())], np.uint64)
                 first = np.searchsorted(text, np.arange(len(offsets)))
@@ -213,9 +229,10 @@ class SuffixArray:
     """Suffixes of several byte strings, with the common prefixes of neighbours; nothing goes over a string's end."""
 
     def __init__(self, strings: list[bytes], least: int):
+        self.least = least
         # UTF-8 has no byte over 0xF4, so that 0 is free for ends, below all bytes
         self.text = np.frombuffer(b"\0".join([b"", *strings, b""]), np.uint8).copy()
-        lengths = np.array([len(s) for s in strings])
+        lengths = np.array([len(s) for s in strings], np.int64)
         self.start = np.concatenate(([1], 1 + np.cumsum(lengths + 1)))[: len(strings)]
         self.end = self.start + lengths
         body = np.zeros(len(self.text), bool)
@@ -224,21 +241,25 @@ class SuffixArray:
         self.text[body] += 1
         n = len(self.text)
         key = np.ndarray(n, ">u8", np.concatenate((self.text, np.zeros(8, np.uint8))), strides=(1,)).astype(np.uint64)
-        self.ranks, width = [], 8
         order = np.argsort(key)
-        longest = max(lengths, default=0)
+        slots, key = np.arange(n), key[order]
+        rank, self.ranks, width, longest = np.zeros(n, np.int32), [], 8, max(lengths, default=0)
         while True:
-            new = np.empty(n, bool)
-            new[0] = True
-            np.not_equal(key[order[1:]], key[order[:-1]], out=new[1:])
-            rank = np.empty(n, np.int32)
-            rank[order] = np.cumsum(new)
-            self.ranks.append(rank)
-            if width >= longest or rank.max() == n:
+            # a suffix's rank is the first place of those that begin alike; only what isn't alone is put in order again
+            new = np.ones(len(slots), bool)
+            np.not_equal(key[1:], key[:-1], out=new[1:])
+            rank[order[slots]] = slots[new][np.cumsum(new) - 1]
+            self.ranks.append(rank.copy())
+            alone = new & np.append(new[1:], True)
+            slots = slots[~alone]
+            if width >= longest or not len(slots):
                 break
-            key = rank.astype(np.int64) << 32
-            key[: n - width] |= rank[width:]
-            order = np.argsort(key)
+            some = order[slots]
+            key = rank[some].astype(np.int64) << 32
+            inside = some + width < n
+            key[inside] |= rank[some[inside] + width]
+            by = np.argsort(key)
+            order[slots], key = some[by], key[by]
             width *= 2
         self.owner = np.repeat(np.arange(len(strings)), lengths + 1)
         self.owner = np.concatenate(([0], self.owner))[:n]
@@ -247,7 +268,17 @@ class SuffixArray:
         self.common = self._common(order[:-1], order[1:]) if len(order) > 1 else np.zeros(0, np.int64)
 
     def _common(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-        """Lengths of the common prefixes of suffixes, by the ranks of halving widths."""
+        """Lengths of the common prefixes of suffixes, by the ranks of halving widths; 0 may stand for a length that is too short."""
+        whole, step = np.zeros(len(a), np.int64), min(len(self.ranks), self.least.bit_length() - 3) - 1
+        if step >= 0:  # what differs within a width below the least length doesn't matter
+            near = np.flatnonzero(self.ranks[step][a] == self.ranks[step][b])
+            a, b = a[near], b[near]
+        else:
+            near = slice(None)
+        whole[near] = self._exact(a, b)
+        return whole
+
+    def _exact(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         most = np.minimum(self.end[self.owner[a]] - a, self.end[self.owner[b]] - b)
         out, n = np.zeros(len(a), np.int64), len(self.text)
         for k in range(len(self.ranks) - 1, -1, -1):
@@ -272,11 +303,14 @@ class SuffixArray:
         before = self.text[self.order - 1].astype(np.int16)
         near = self.common >= least
         border = np.flatnonzero(np.diff(np.concatenate(([0], near, [0])).astype(np.int8))).reshape(-1, 2)
+        if len(border):
+            # where all may be made longer to the left, that longer repeat is elsewhere in the array
+            cuts = np.column_stack((border[:, 0], border[:, 1] + 1)).ravel()
+            own = np.append(before, 0)
+            low, high = np.minimum.reduceat(own, cuts)[::2], np.maximum.reduceat(own, cuts)[::2]
+            border = border[(low != high) | (low == 0)]
         for a, b in border.tolist():
-            own = before[a : b + 1]
-            if own.min() == own.max() != 0:
-                continue  # all may be made longer to the left; that longer repeat is elsewhere in the array
-            common, left = [*self.common[a:b].tolist(), 0], own.tolist()
+            common, left = [*self.common[a:b].tolist(), 0], before[a : b + 1].tolist()
             left = [-2 if x == 0 else x for x in left]  # -2: differs from all
             stack: list[list[int]] = []  # length, first, byte before (-2 if they differ)
             for k, size in enumerate(common):
@@ -329,7 +363,7 @@ def window_hashes(data: np.ndarray, least: int) -> np.ndarray:
     return mix(out + tail * COEFFICIENTS[61])
 
 
-SPANS = "digest binary, first long, past long, h long, part int, r int, blob binary"
+SPANS = "digest binary, first long, past long, brief boolean, h long, part int, r int, blob binary"
 
 
 def joined_contexts(rows: pd.DataFrame) -> list[tuple[bytes, int, bool, bytes]]:
@@ -344,31 +378,70 @@ def joined_contexts(rows: pd.DataFrame) -> list[tuple[bytes, int, bool, bytes]]:
     return out
 
 
-def repeats_of_part(least: int, words: int = 0):
-    """For applyInPandas: spans of contexts that repeat; of an anchor in several parts also the hashes of its windows."""
+def repeated_parts(rows: list[tuple[bytes, int, bool, bytes]], least: int) -> list[tuple[bytes, int, bool, bytes]]:
+    """The contexts cut down to the runs of windows whose hash isn't alone, with a byte before and after them; the arrays then compare bytes."""
+    data = np.frombuffer(b"".join(r[3] for r in rows) + b"\0" * least, np.uint8)
+    ends = np.cumsum([len(r[3]) for r in rows])
+    with np.errstate(over="ignore"):
+        hashes = window_hashes(data, least)[: ends[-1] if rows else 0]
+    order = np.argsort(hashes)
+    same = hashes[order[1:]] == hashes[order[:-1]]
+    found = np.zeros(len(hashes), bool)
+    found[order[1:][same]] = found[order[:-1][same]] = True
+    for end in ends.tolist():  # windows over the end of a context are none
+        found[max(0, end - least + 1) : end] = False
+    border = np.flatnonzero(np.diff(np.concatenate(([0], found, [0])).astype(np.int8))).reshape(-1, 2)
+    which = np.searchsorted(ends, border[:, 0], "right")
+    out = []
+    for k, a, b in zip(which.tolist(), *border.T.tolist()):
+        digest, low, many, context = rows[k]
+        start = int(ends[k]) - len(context)
+        a = max(a - 1, start) - start
+        out.append((digest, low + a, many, context[a : b - start + least]))
+    return out
+
+
+def repeats_of_part(least: int, words: int = 0, fine: int = 0):
+    """For applyInPandas: spans of contexts that repeat; of an anchor in several parts also the hashes of its windows.
+
+    With ``fine``, spans of ``words`` words and at least so many bytes are found too, marked as brief.
+    """
+    shortest = fine or least
 
     def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         rows = joined_contexts(rows)
-        array = SuffixArray([r[3] for r in rows], least)
-        longest = array.covered(least)
-        out = []
-        for (digest, low, many, _), a, b in zip(rows, array.start, array.end):
+        parts = repeated_parts(rows, shortest)
+        array = SuffixArray([r[3] for r in parts], shortest) if parts else None
+        longest, out = array.covered(shortest) if parts else None, []
+        for (digest, low, many, _), a, b in zip(parts, array.start, array.end) if parts else ():
             if not many:
-                found = long_enough(longest[a:b], array.text[a:b] - 1, words) if words else longest[a:b]
-                out += [(digest, low + first, low + past, None, None, None, None) for first, past in runs_of(found)]
+                own = longest[a:b]
+                passages = long_enough(own, array.text[a:b] - 1, words) if words else own
+                if fine:
+                    out += [(digest, low + first, low + past, True, None, None, None, None) for first, past in runs_of(passages)]
+                    passages = np.where(own >= least, own, 0)
+                out += [(digest, low + first, low + past, False, None, None, None, None) for first, past in runs_of(passages)]
         if key[1] >= 0:
-            with np.errstate(over="ignore"):
-                each = (np.frombuffer(c, np.uint8) for *_, c in rows)
-                hashes = np.unique(np.concatenate([word_windows(c, words)[0] if words else window_hashes(c, least) for c in each]))
+            each = [np.frombuffer(c, np.uint8) for *_, c in rows]
+            hashes = np.unique(np.concatenate([h for c in each for h in hashes_of(c, least, words, fine)]))
             for r in range(RANGES):
-                out.append((None, None, None, key[0], key[1], r, hashes[hashes >> np.uint64(60) == r].tobytes()))
-        columns = zip(*out) if out else [()] * 7
-        kinds = (object, "Int64", "Int64", "Int64", "Int64", "Int64", object)  # never by way of floats
-        return pd.DataFrame({name: pd.array(list(c), kind) if kind != object else pd.Series(list(c), dtype=object) for name, c, kind in zip(("digest", "first", "past", "h", "part", "r", "blob"), columns, kinds)})
+                out.append((None, None, None, None, key[0], key[1], r, hashes[hashes >> np.uint64(60) == r].tobytes()))
+        columns = zip(*out) if out else [()] * 8
+        kinds = (object, "Int64", "Int64", "boolean", "Int64", "Int64", "Int64", object)  # never by way of floats
+        return pd.DataFrame({name: pd.array(list(c), kind) if kind != object else pd.Series(list(c), dtype=object) for name, c, kind in zip(("digest", "first", "past", "brief", "h", "part", "r", "blob"), columns, kinds)})
 
     return run
 
 
+def hashes_of(data: np.ndarray, least: int, words: int, fine: int) -> list[np.ndarray]:
+    """Hashes of the windows that tell repeats: of words, of bytes, or of both."""
+    out = [word_windows(data, words)[0]] if words else []
+    if (fine or not words) and len(data) >= least:
+        with np.errstate(over="ignore"):
+            out.append(window_hashes(data, least))
+    return out or [np.zeros(0, np.uint64)]
+
+
 def shared_hashes(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
     """Of one range of an anchor's hashes: to each part those that another part holds too."""
     blobs = [np.frombuffer(b, np.uint64) for b in rows["blob"]]
@@ -378,7 +451,7 @@ def shared_hashes(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame([k for k in kept if k[2]], columns=["h", "part", "blob"])
 
 
-def repeats_across(least: int, words: int = 0):
+def repeats_across(least: int, words: int = 0, fine: int = 0):
     """For cogrouped applyInPandas: spans of windows that other parts hold."""
 
     def run(rows: pd.DataFrame, shared: pd.DataFrame) -> pd.DataFrame:
@@ -392,12 +465,15 @@ def repeats_across(least: int, words: int = 0):
                 if words:
                     hashes, begins, ends = word_windows(data, words)
                     found, longest = np.isin(hashes, known), np.zeros(len(data), np.int64)
+                    if fine:
+                        found &= ends - begins >= fine
                     longest[begins[found]] = (ends - begins)[found]
-                else:
+                    out += [(digest, low + first, low + past, bool(fine)) for first, past in runs_of(longest)]
+                if (fine or not words) and len(data) >= least:
                     with np.errstate(over="ignore"):
                         longest = np.isin(window_hashes(data, least), known) * least
-                out += [(digest, low + first, low + past) for first, past in runs_of(longest)]
-        return pd.DataFrame(out, columns=["digest", "first", "past"])
+                    out += [(digest, low + first, low + past, False) for first, past in runs_of(longest)]
+        return pd.DataFrame(out, columns=["digest", "first", "past", "brief"])
 
     return run
 
@@ -406,21 +482,23 @@ def digest_of(text) -> F.Column:
     return F.unhex(F.md5(F.coalesce(text, F.lit("")).cast("binary")))
 
 
-def repeated_spans(docs: DataFrame, least: int = LEAST, part: int = PART, *, words: int = 0) -> tuple[DataFrame, DataFrame]:
+def repeated_spans(docs: DataFrame, least: int = LEAST, part: int = PART, *, words: int = 0, fine: int = 0) -> tuple[DataFrame, DataFrame]:
     """(digest, spans) of texts that occur once, and (digest) of those that occur more often and are long enough to be repeats whole.
 
-    With ``words``, repeats of so many words, however few bytes these have; ``least`` doesn't matter then.
+    With ``words``, repeats of so many words, however few bytes these have; ``least`` doesn't matter then. With ``words``
+    and ``fine``, both repeats of ``least`` bytes and, as another column, brief, of so many words in ``fine`` bytes at least.
     """
-    least = 2 * words - 1 if words else least
-    table = cut(anchor_table(docs, least, words))
+    least = 2 * words - 1 if words and not fine else least
+    shortest = fine or least
+    table = cut(anchor_table(docs, least, 0 if fine else words, fine))
     each = table.select("digest", F.explode(F.arrays_zip("h", "c", "low", "high")).alias("x")).select("digest", "x.*")
     groups = cut(each.groupBy("h").agg(F.count("*").alias("m"), F.min("c").alias("a"), F.max("c").alias("b")).where("m > 1").select("h", (F.col("a") != F.col("b")).alias("mixed")))
     near = cut(sift(each, "h", groups.select("h"), 25).join(groups, "h"))
     classes = near.groupBy("h", "c").agg(F.count("*").alias("m"), F.min(F.struct("digest", "low", "high")).alias("rep"), F.first("mixed").alias("mixed"))
     classes = cut(classes)
     alike = sift(near, "c", classes.where("m > 1").select("c")).join(classes.where("m > 1").select("h", "c"), ["h", "c"], "left_semi")
-    spans = alike.select("digest", F.col("low").cast("long").alias("first"), F.col("high").cast("long").alias("past")).where(f"past - first >= {least}")
-    reps = classes.where("mixed").select("h", (F.col("m") > 1).alias("many"), "rep.*").where(f"high - low >= {least}")
+    spans = alike.select("digest", F.col("low").cast("long").alias("first"), F.col("high").cast("long").alias("past"), F.expr(f"high - low < {least}").alias("brief")).where(f"past - first >= {shortest}")
+    reps = classes.where("mixed").select("h", (F.col("m") > 1).alias("many"), "rep.*").where(f"high - low >= {shortest}")
     often = cut(reps.groupBy("h").agg(F.count("*").alias("k"), F.sum(F.col("high") - F.col("low")).alias("bytes")).where("k > 1"))
     total = often.agg(F.sum("bytes")).first()[0] or 0
     arrays = max(1, -(-total // ARRAY_BYTES))
@@ -428,18 +506,21 @@ def repeated_spans(docs: DataFrame, least: int = LEAST, part: int = PART, *, wor
     hot = F.col("parts") > 1
     dealt = dealt.select("digest", "many", "h", "low", "high", F.when(hot, F.col("h")).otherwise(F.pmod("h", F.lit(arrays))).alias("g"), F.when(hot, F.pmod(F.hash("digest"), "parts")).otherwise(-1).alias("part"))
     wanted = dealt.groupBy("digest").agg(F.collect_list(F.struct("low", "high", "many", "g", "part")).alias("w"))
-    texts = docs.select(digest_of(F.col("text")).alias("digest"), F.coalesce("text", F.lit("")).cast("binary").alias("text")).where(f"octet_length(text) >= {least}")
+    texts = docs.select(digest_of(F.col("text")).alias("digest"), F.coalesce("text", F.lit("")).cast("binary").alias("text")).where(f"octet_length(text) >= {shortest}")
     texts = sift(texts, "digest", wanted.select("digest")).dropDuplicates(["digest"]).join(wanted, "digest")
     contexts = cut(texts.select("digest", "text", F.explode("w").alias("w")).select("digest", "w.*", F.expr("substring(text, w.low + 1, w.high - w.low)").alias("context")).drop("high"))
-    found = cut(contexts.groupBy("g", "part").applyInPandas(repeats_of_part(least, words), SPANS))
-    spans = spans.unionByName(found.where("digest IS NOT NULL").select("digest", "first", "past"))
+    found = cut(contexts.groupBy("g", "part").applyInPandas(repeats_of_part(least, words, fine), SPANS))
+    spans = spans.unionByName(found.where("digest IS NOT NULL").select("digest", "first", "past", "brief"))
     if often.where(F.col("k") > part).limit(1).count():
         shared = found.where("blob IS NOT NULL").groupBy("h", "r").applyInPandas(shared_hashes, "h long, part int, blob binary")
-        again = contexts.where("part >= 0").groupBy("g", "part").cogroup(shared.groupBy("h", "part")).applyInPandas(repeats_across(least, words), "digest binary, first long, past long")
+        again = contexts.where("part >= 0").groupBy("g", "part").cogroup(shared.groupBy("h", "part")).applyInPandas(repeats_across(least, words, fine), "digest binary, first long, past long, brief boolean")
         spans = spans.unionByName(again)
     once = table.where("copies = 1").select("digest")
-    merged = spans.join(once, "digest", "left_semi").groupBy("digest").agg(F.sort_array(F.collect_set(F.struct("first", "past"))).alias("spans"))
-    return cut(merged), table.where("copies > 1").select("digest")
+    chosen = lambda brief: F.sort_array(F.collect_set(F.when(F.col("brief") == brief, F.struct("first", "past"))))
+    merged = spans.join(once, "digest", "left_semi").groupBy("digest").agg(chosen(False).alias("spans"), *([chosen(True).alias("brief")] if fine else []))
+    merged, copies = cut(merged), cut(table.where("copies > 1").select("digest"))
+    forget(table, groups, near, classes, often, contexts, found)
+    return merged, copies
 
 
 def merged(spans) -> list[list[int]]:
@@ -473,25 +554,47 @@ def whole_characters(raw: bytes, spans: list[list[int]]) -> list[list[int]]:
     return out
 
 
-def dedup_report(docs: DataFrame, least: int = LEAST) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256: a row for each row."""
-    spans, copies = repeated_spans(docs, least)
+def passage_words(raw: bytes, spans: list[tuple[int, int]], brief: list[tuple[int, int]], words: int) -> int:
+    """How many words lie in repeats that hold at least so many whole."""
+    begins, ends = words_in(np.frombuffer(raw, np.uint8), np.array([0, len(raw)]))
+    inside = np.zeros(len(begins), bool)
+    for first, past in {*spans, *brief}:
+        a, b = np.searchsorted(begins, first), np.searchsorted(ends, past, "right")
+        if b - a >= words:
+            inside[a:b] = True
+    return int(inside.sum())
+
+
+def dedup_report(docs: DataFrame, least: int = LEAST, words: int = PASSAGE, fine: int = FINE) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, passage_words: a row for each row.
+
+    passage_words, beside the strings of ``least`` bytes, which alone are removed: words in strings of ``words`` words
+    and ``fine`` bytes or more that stand anywhere else too.
+    """
+    spans, copies = repeated_spans(docs, least, words=words, fine=fine)
     texts = docs.select(digest_of(F.col("text")).alias("digest"), F.coalesce("text", F.lit("")).cast("binary").alias("text"))
 
     def run(batches):
         for batch in slices(batches):
             rows = []
-            for digest, raw, spans in zip(*(c.to_pylist() for c in batch.columns)):
-                own = merged([(s["first"], s["past"]) for s in spans])
-                rows.append((digest, sum(b - a for a, b in own), len(own), hashlib.sha256(without(raw, own)).hexdigest()))
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.binary(), pa.int64(), pa.int64(), pa.string()))], ["digest", "removed", "spans", "kept"])
-
-    part = sift(texts, "digest", spans.select("digest")).join(spans, "digest").select("digest", "text", "spans").mapInArrow(run, "digest binary, removed long, spans long, kept string")
-    done = part.unionByName(copies.select("digest", F.lit(-1).cast("long").alias("removed"), F.lit(1).cast("long").alias("spans"), F.sha2(F.lit(""), 256).alias("kept")))
+            for digest, raw, spans, brief in zip(*(c.to_pylist() for c in batch.columns)):
+                own, more = ([(s["first"], s["past"]) for s in x] for x in (spans, brief))
+                kept = merged(own)
+                rows.append((digest, sum(b - a for a, b in kept), len(kept), hashlib.sha256(without(raw, kept)).hexdigest(), passage_words(raw, own, more, words)))
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.binary(), pa.int64(), pa.int64(), pa.string(), pa.int64()))], ["digest", "removed", "spans", "kept", "passage"])
+
+    part = sift(texts, "digest", spans.select("digest")).join(spans, "digest").select("digest", "text", "spans", "brief").mapInArrow(run, "digest binary, removed long, spans long, kept string, passage long")
+    whole = F.lit(-1).cast("long")
+    done = part.unionByName(copies.select("digest", whole.alias("removed"), F.lit(1).cast("long").alias("spans"), F.sha2(F.lit(""), 256).alias("kept"), whole.alias("passage")))
     text = F.coalesce("text", F.lit(""))
-    light = docs.select("doc_id", digest_of(F.col("text")).alias("digest"), F.octet_length(text).cast("long").alias("n_bytes"), F.sha2(text, 256).alias("all"))
-    removed = F.when(F.col("removed") < 0, F.col("n_bytes")).otherwise(F.coalesce("removed", F.lit(0)))
-    return light.join(done, "digest", "left").select("doc_id", "n_bytes", removed.alias("n_removed"), F.coalesce("spans", F.lit(0)).alias("n_spans"), F.coalesce("kept", "all").alias("kept_sha256"))
+    count = F.size(F.filter(F.split(text, "[\\x20\\x09-\\x0D]+"), lambda w: w != "")).cast("long")
+    light = marked(docs.select("doc_id", "text", digest_of(F.col("text")).alias("digest")), "digest", copies)
+    light = light.select("doc_id", "digest", F.octet_length(text).cast("long").alias("n_bytes"), F.sha2(text, 256).alias("all"), F.when(F.col("_found"), count).alias("n_words"))
+    # of copies, those under ``least`` bytes stay
+    short = (F.col("removed") < 0) & (F.col("n_bytes") < least)
+    removed = F.when(short, 0).when(F.col("removed") < 0, F.col("n_bytes")).otherwise(F.coalesce("removed", F.lit(0)))
+    passage = F.when(F.col("passage") < 0, F.when(F.col("n_words") >= words, F.col("n_words")).otherwise(0)).otherwise(F.coalesce("passage", F.lit(0)))
+    return light.join(done, "digest", "left").select("doc_id", "n_bytes", removed.alias("n_removed"), F.when(short, 0).otherwise(F.coalesce("spans", F.lit(0))).alias("n_spans"), F.when(short, F.col("all")).otherwise(F.coalesce("kept", "all")).alias("kept_sha256"), passage.alias("passage_words"))
 
 
 def without_repeats(docs: DataFrame, least: int = LEAST, *, words: int = 0) -> DataFrame:

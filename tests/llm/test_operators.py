@@ -151,11 +151,25 @@ def test_repeats_against_all_windows(spark, part, monkeypatch):
     text = lambda n: "".join(rng.choice("abcdé ") for _ in range(n))
     shared = [text(500), text(395), text(900)]
     texts = [None, "", "ab" * 600, "ab" * 600, text(2000)]
+    texts += [" ".join(f"{w} " * 11 for w in ("orshea", "the.", "intihe", "onen", "with", "of", "thedwhha", "and", "so", "lyon")), "x" * 399 + "y" * 399]
     texts += [text(rng.randint(0, 300)) + rng.choice(shared) + text(rng.randint(0, 300)) for _ in range(14)]
     got = sorted(suffix_dedup.dedup_report(docs_of(spark, texts)).collect())
     assert [r["n_removed"] for r in got] == brute_removed([(t or "").encode() for t in texts], 400)
 
 
+@pytest.mark.parametrize("part", [2000, 3])
+def test_passage_words_of_the_report(spark, part, monkeypatch):
+    monkeypatch.setattr(suffix_dedup.repeated_spans, "__defaults__", (400, part))
+    rng = random.Random(13)
+    words = lambda n: " ".join("".join(rng.choice("abcdefghij") for _ in range(rng.randint(4, 6))) for _ in range(n))
+    passage, shorter, long = words(55), words(50), words(90)
+    texts = [f"{words(40)} {mid} {words(40)}" for mid in (passage,) * 8 + (shorter,) * 2 + (long,) * 2] + [words(60)] * 2 + [words(100), None, ""]
+    got = sorted(suffix_dedup.dedup_report(docs_of(spark, texts)).collect())
+    assert 250 <= len(passage) < 400 <= len(long)
+    assert [r["passage_words"] for r in got] == [55] * 8 + [0] * 2 + [90] * 2 + [60] * 2 + [0] * 3
+    assert [r["n_removed"] > 0 for r in got] == [False] * 10 + [True] * 2 + [len(texts[12]) >= 400] * 2 + [False] * 3
+
+
 @pytest.mark.parametrize("part", [2000, 3])
 def test_stage_cuts_passages_of_over_fifty_words(spark, part, monkeypatch):
     import corpus_pipeline
