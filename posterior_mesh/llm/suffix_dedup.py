@@ -28,7 +28,7 @@ from .common import cut, forget, load, marked, mix, sift, slices, utf8
 
 LEAST, GRAM = 400, 32
 #: Bytes of contexts in one suffix array, and contexts of one anchor in one task, at most.
-ARRAY_BYTES, PART = 2 << 20, 2000
+ARRAY_BYTES, PART = 1 << 20, 2000
 #: Ranges that the hashes of an anchor in several parts are dealt into.
 RANGES = 16
 #: Words of the shortest passage that the pipeline's stage cuts out, besides strings of LEAST bytes: over 50.
