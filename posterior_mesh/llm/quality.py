@@ -1,7 +1,7 @@
 """Quality by co-training: a view of a text's content and a view of its page's metadata.
 
-Each view has a logistic classifier of its own. Round by round, each labels the unlabelled rows that
-it is surest of, and these go into the other view's training set. All unlabelled rows take part:
+Each view has a logistic classifier of its own. Round by round, each is calibrated, labels the unlabelled rows that
+it is surest of beyond the classes' own shares, and these go into the other view's training set; a view that tells nothing labels nothing. All unlabelled rows take part:
 their features are worked out once, rounds score and fit over them in the tasks, and the driver
 sees sums only. At the end both views are calibrated and combined by a logistic curve that is fitted on labelled rows which neither was
 trained on.
@@ -27,6 +27,8 @@ from .models import ROWS, fit_logistic, logistic, sample_of
 
 #: Rounds, and the share of all unlabelled rows that a view labels in a round (AT_LEAST rows, if there are so many).
 ROUNDS, EACH, AT_LEAST = 5, 80 / 3000, 80
+#: A view labels only rows whose odds are so many times those of the classes.
+SURER = 4
 #: Columns that languages and sources are hashed into, bins of a logit, steps of a fit over all rows at most.
 LANGS, SOURCES, BINS, STEPS = 32, 128, 400, 8
 CONTENT, META = 146, LANGS + SOURCES + 2
@@ -114,8 +116,17 @@ def summed(pool: DataFrame, work, size: int) -> np.ndarray:
     return sum((np.frombuffer(r["s"]) for r in parts.groupBy("g").applyInPandas(add, "s binary").collect()), np.zeros(size))
 
 
-def limits_of(pool: DataFrame, models: list, history: list, share: float, n: int) -> tuple[list, list]:
-    """For each view the logits below and above which it is surest, by counts of logits in bins; and how many rows these are."""
+def sure_logits(z: np.ndarray, y: np.ndarray) -> tuple[float, float]:
+    """The logits of a view below and above which, calibrated on rows it wasn't fitted on, the odds are ``SURER`` times those of the classes."""
+    slope, constant = fit_logistic(np.clip(z, -15, 15)[:, None], y, 1e-3)
+    prior = np.log((y.sum() + 0.5) / (len(y) - y.sum() + 0.5))
+    if slope <= 0:
+        return -np.inf, np.inf
+    return (prior - np.log(SURER) - constant) / slope, (prior + np.log(SURER) - constant) / slope
+
+
+def limits_of(pool: DataFrame, models: list, history: list, share: float, n: int, sure: list) -> tuple[list, list]:
+    """For each view the logits below and above which it is surest, by counts of logits in bins, within ``sure``; and how many rows these are."""
     edges = np.linspace(-20, 20, BINS + 1)
 
     def count(views):
@@ -123,13 +134,12 @@ def limits_of(pool: DataFrame, models: list, history: list, share: float, n: int
         return np.concatenate([np.bincount(np.clip(np.searchsorted(edges, z[free], "right") - 1, 0, BINS - 1), minlength=BINS) for z in logits_of(views, models)]).astype(float)
 
     limits, taken, most = [], [], max(AT_LEAST, EACH * n)
-    sure = np.log(4)  # a probability of 0.8
-    for counts in summed(pool, count, 2 * BINS).reshape(2, BINS):
+    for counts, (least, top) in zip(summed(pool, count, 2 * BINS).reshape(2, BINS), sure):
         low, high = np.cumsum(counts), np.cumsum(counts[::-1])
         k = max(int(np.searchsorted(low, most * (1 - share), "right")), int(np.argmax(low > 0)) + 1)
         j = max(int(np.searchsorted(high, most * share, "right")), int(np.argmax(high > 0)) + 1)
         down, up = edges[k] if k < BINS else np.inf, edges[BINS - j] if j < BINS else -np.inf
-        limits.append((min(np.nextafter(down, -np.inf), -sure), max(up, sure)))
+        limits.append((min(np.nextafter(down, -np.inf), least), max(up, top)))
         taken.append(int(counts[edges[1:] <= limits[-1][0] + 1e-9].sum() + counts[edges[:-1] >= limits[-1][1] - 1e-9].sum()))
     return limits, taken
 
@@ -189,7 +199,8 @@ def co_train(content: np.ndarray, meta: np.ndarray, y: np.ndarray, pool: DataFra
     share, n = y[~kept].mean(), pool.count()
     models, history, counts = [fit_logistic(x, t, 1e-3) for x, t in own], [], []
     for _ in range(rounds if n else 0):
-        limits, taken = limits_of(pool, models, history, share, n)
+        sure = [sure_logits(z, y[kept]) for z in logits_of([content[kept], meta[kept]], models)]
+        limits, taken = limits_of(pool, models, history, share, n, sure)
         if not any(taken):
             break
         history = [*history, (models, limits)]
