@@ -100,6 +100,21 @@ def learn_lexicon(texts: list[str], toxic: np.ndarray, least: int = 4, share: fl
     return lexicon
 
 
+def learn_exceptions(texts: list[str], toxic: np.ndarray, lexicon: dict[str, float], least: int = 3) -> tuple[str, ...]:
+    """Pairs of words around an entry's match that ``least`` texts hold, none of them toxic and near copies counted once."""
+    found: tuple[Counter, Counter] = (Counter(), Counter())
+    for kind in (0, 1):
+        of = [t for t, x in zip(texts, toxic) if x == kind]
+        # what one toxic text holds isn't harmless, so toxic copies needn't be told apart
+        for text in (t for t, own in zip(of, apart(of) if kind == 0 else np.ones(len(of), bool)) if own):
+            folded = fold(text)
+            words = [m.span() for m in LETTERS.finditer(folded)]
+            hit = [f"{folded[a:b]} " in lexicon or any(folded[a : a + n] in lexicon for n in range(SHORTEST, min(b - a, LONGEST) + 1)) for a, b in words]
+            pairs = zip(words, words[1:], hit, hit[1:])
+            found[kind].update({folded[a:d] for (a, b), (c, d), left, right in pairs if left != right and folded[b:c] == " "})
+    return tuple(sorted(x for x, n in found[0].items() if n >= least and not found[1][x]))
+
+
 class Matcher:
     """Aho-Corasick over the lexicon and the exception phrases; matches begin where a word does."""
 
@@ -140,24 +155,25 @@ def density(weight: float, words: int) -> float:
     return log(1 + 100 * weight / max(words, 12))
 
 
-def fit(docs: DataFrame, labels: DataFrame, rows: int = 1500) -> dict:
-    """Lexicon and curve from at most ``rows`` labelled rows of each class outside the test fold."""
+def fit(docs: DataFrame, labels: DataFrame, rows: int = 1500, exceptions: tuple[str, ...] = EXCEPTIONS) -> dict:
+    """Lexicon, exceptions and curve from at most ``rows`` labelled rows of each class outside the test fold; ``exceptions`` are given ones."""
     known = sample_of(docs, labels, "toxic", rows)
     texts, toxic = known["text"].tolist(), known["label"].to_numpy(np.int64)
     lexicon = learn_lexicon(texts, toxic)
-    matcher = Matcher(lexicon)
+    exceptions = tuple({*exceptions, *learn_exceptions(texts, toxic, lexicon)})
+    matcher = Matcher(lexicon, exceptions)
     x = np.array([density(*matcher.weigh(t)) for t in texts])[:, None] if texts else np.zeros((0, 1))
     if len({*toxic}) < 2 or not lexicon:
-        return {"lexicon": lexicon, "curve": (0.0, -30.0)}
+        return {"lexicon": lexicon, "exceptions": exceptions, "curve": (0.0, -30.0)}
     own = np.where(toxic == 1, len(toxic) / (2 * max(1, toxic.sum())), len(toxic) / (2 * max(1, (1 - toxic).sum())))
     w = fit_logistic(x, toxic, 1e-4, own)
-    return {"lexicon": lexicon, "curve": (float(w[0]), float(w[1]))}
+    return {"lexicon": lexicon, "exceptions": exceptions, "curve": (float(w[0]), float(w[1]))}
 
 
 @lru_cache(1)
 def opened(raw: bytes) -> tuple[Matcher, tuple[float, float]]:
     model = pickle.loads(raw)
-    return Matcher(model["lexicon"]), model["curve"]
+    return Matcher(model["lexicon"], model["exceptions"]), model["curve"]
 
 
 def score_texts(texts: list[str | None], raw: bytes) -> np.ndarray:
