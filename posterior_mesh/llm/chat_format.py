@@ -42,7 +42,7 @@ def format_windows(turns: DataFrame, budget: int = BUDGET, history: int = HISTOR
     each = rows.select("conv_id", F.struct(number.alias("n"), prefix.alias("p"), "role", (F.length(F.expr(escaped("role"))) + F.length(F.expr(escaped("text"))) + len(START) + len(END) + 2).alias("size"), "text").alias("t"))
     held = each.groupBy("conv_id").agg(F.sort_array(F.collect_list("t")).alias("t"))
     held = held.withColumn("sys", F.expr("CASE WHEN t[0].role = 'system' THEN 1 ELSE 0 END"))
-    p = lambda k: f"(CASE WHEN {k} < 1 THEN 0L ELSE element_at(t.p, greatest({k}, 1)) END)"
+    p = lambda k: f"(CASE WHEN {k} < 1 THEN 0L ELSE element_at(t, greatest({k}, 1)).p END)"
     # the longest allowed history of a window that begins with turn x, and its tokens
     cost = lambda h: f"{p('x.n - 1')} - {p(f'x.n - 1 - {h}')}"
     longest = lambda give, none: "CASE " + " ".join(f"WHEN x.n - 1 - {h} >= sys AND {cost(h)} <= {budget // 4} THEN {give(h)}" for h in range(history, 0, -1)) + f" ELSE {none} END"
@@ -54,12 +54,12 @@ def format_windows(turns: DataFrame, budget: int = BUDGET, history: int = HISTOR
             'done', concat(a.done, array(named_struct('first', a.first, 'last', x.n - 1, 'back', a.back))))
         ELSE a END,
       a -> concat(a.done, array(named_struct('first', a.first, 'last', size(t), 'back', a.back))))"""
-    spans = held.select("conv_id", "t", "sys", F.posexplode(F.expr(fold)).alias("window", "s"))
-    said = spans.select(
-        "conv_id", "window",
-        F.expr("CASE WHEN s.first > 1 THEN sys + s.back ELSE 0 END").alias("context"),
-        F.expr("concat(CASE WHEN sys = 1 AND s.first > 1 THEN slice(t, 1, 1) ELSE slice(t, 1, 0) END, slice(t, s.first - s.back, s.last - s.first + 1 + s.back))").alias("w"),
-        F.expr(f"{p('s.last')} - {p('s.first - 1 - s.back')} + CASE WHEN s.first > 1 THEN {p('sys')} ELSE 0L END").alias("tokens"))
+    # each window takes its own turns before windows become rows, so no row holds the whole conversation
+    window = f"""transform({fold}, s -> named_struct(
+        'context', CASE WHEN s.first > 1 THEN sys + s.back ELSE 0 END,
+        'w', concat(CASE WHEN sys = 1 AND s.first > 1 THEN slice(t, 1, 1) ELSE slice(t, 1, 0) END, slice(t, s.first - s.back, s.last - s.first + 1 + s.back)),
+        'tokens', {p('s.last')} - {p('s.first - 1 - s.back')} + CASE WHEN s.first > 1 THEN {p('sys')} ELSE 0L END))"""
+    said = held.select("conv_id", F.posexplode(F.expr(window)).alias("window", "s")).select("conv_id", "window", "s.*")
     line = f"concat('{START}', {escaped('x.role')}, '\\n', {escaped('x.text')}, '{END}\\n')"
     mask = f"""aggregate(w, named_struct('at', 0, 'k', 0, 'out', array_repeat(named_struct('begin', 0, 'length', 0), 0)),
       (a, x) -> named_struct('at', a.at + x.size, 'k', a.k + 1, 'out',
