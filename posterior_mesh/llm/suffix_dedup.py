@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import cut, forget, load, marked, mix, sift, slices, utf8
+from .common import cut, forget, give_back, load, marked, mix, sift, slices, utf8
 
 LEAST, GRAM = 400, 32
 #: Bytes of contexts in one suffix array, and contexts of one anchor in one task, at most.
@@ -426,6 +426,8 @@ def repeats_of_part(least: int, words: int = 0, fine: int = 0):
             hashes = np.unique(np.concatenate([h for c in each for h in hashes_of(c, least, words, fine)]))
             for r in range(RANGES):
                 out.append((None, None, None, None, key[0], key[1], r, hashes[hashes >> np.uint64(60) == r].tobytes()))
+        array = longest = each = hashes = None
+        give_back()
         columns = zip(*out) if out else [()] * 8
         kinds = (object, "Int64", "Int64", "boolean", "Int64", "Int64", "Int64", object)  # never by way of floats
         return pd.DataFrame({name: pd.array(list(c), kind) if kind != object else pd.Series(list(c), dtype=object) for name, c, kind in zip(("digest", "first", "past", "brief", "h", "part", "r", "blob"), columns, kinds)})
