@@ -619,15 +619,17 @@ def without_repeats(docs: DataFrame, least: int = LEAST, *, words: int = 0) -> D
             for first in range(0, batch.num_rows, 1000):
                 part = batch.slice(first, 1000)
                 rows, texts = part.column(0), []
-                for text, spans in zip(rows.field("text").to_pylist(), part.column(1).to_pylist()):
+                for text, spans, known in zip(rows.field("text").to_pylist(), part.column(1).to_pylist(), part.column(2).to_pylist()):
                     raw = (text or "").encode()
-                    texts.append("" if spans is None else without(raw, whole_characters(raw, merged([(s["first"], s["past"]) for s in spans]))).decode())
+                    texts.append(text if not known else "" if spans is None else without(raw, whole_characters(raw, merged([(s["first"], s["past"]) for s in spans]))).decode())
                 columns = [pa.array(texts, pa.string()) if k == at else rows.field(k) for k in range(len(names))]
                 yield pa.RecordBatch.from_arrays(columns, names)
 
-    touched = inner.join(wanted, "_digest").select("_row", "_spans").mapInArrow(run, docs.schema)
-    rest = inner.join(wanted, "_digest", "left_anti").select("_row.*")
-    out = rest.unionByName(touched)
+    # most rows that nothing is cut from never leave their task; the others meet their spans once
+    held = marked(inner, "_digest", wanted.select("_digest"), 25)
+    near = held.where("_found").select("_digest", "_row").join(wanted.withColumn("_known", F.lit(True)), "_digest", "left")
+    touched = near.select("_row", "_spans", F.coalesce("_known", F.lit(False)).alias("_known")).mapInArrow(run, docs.schema)
+    out = held.where("NOT _found").select("_row.*").unionByName(touched)
     return out.withColumn("n_chars", F.length("text").cast(dict(docs.dtypes)["n_chars"])).select(names) if "n_chars" in names else out
 
 
