@@ -37,3 +37,10 @@ def check(spark, folder, name, table):
 def test_allocations_are_of_the_rows_of_lineitem(spark, sf, few, name):
     for folder in (sf, few):
         check(spark, folder, name, "lineitem")
+
+
+@pytest.mark.parametrize("name", ["arrival_patterns_5_2", "arrival_patterns_40_2", "arrival_patterns_40_4", "clock_check", "crossover"])
+def test_times_are_of_events(spark, sf, few, name):
+    # of 40 workers, sf0.001 has too few users for a complete round
+    for folder in ("/root/testdata/sf0.01",) if "_40_" in name else (sf, few):
+        check(spark, folder, name, "events")
